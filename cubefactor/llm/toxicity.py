@@ -18,6 +18,7 @@ ignored.
 
 from __future__ import annotations
 
+import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -33,20 +34,28 @@ from .common import chunks, crc_fold, text_or_empty
 from .quality import labelled_sample
 
 #: Characters of a word that one window holds, and the step between windows of longer words.
-WINDOW, STEP = 16, 8
+WINDOW, STEP = 18, 9
+#: Mark at both ends of a word; no word holds it, as it separates words.
+EDGE = "\x20"
 #: Longest span of a matched triple.
 SPAN = 7
+#: Margin from which a word counts as an insult.
+HIT = 0.3
 #: Slots of the folded weight table.
 SLOTS = 1 << 20
 #: Splits into words; ends of sentences. Fixed patterns.
-WORD_BREAK, SENTENCE_BREAK = r"[\x20\x09-\x0D]+", r"[.!?\n]+[\x20\x09-\x0D]*"
+MARKS, WORD_BREAK, SENTENCE_BREAK = r"[^\p{L}\p{N}]+", r"[\x20\x09-\x0D]+", r"[.!?\n]+[\x20\x09-\x0D]*"
 _TRIPLES = np.array([t for t in combinations(range(WINDOW), 3) if t[2] - t[0] < SPAN], np.int64)
 
 
 def windows(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Zero-padded code points of the windows of each word, and the number of the word each is from."""
+    """Zero-padded code points of the windows of each word, and the number of the word each is from.
+
+    Words carry marks at both ends, so that a stem at the front differs from the same letters inside.
+    """
     owner, parts = [], []
     for number, word in enumerate(words):
+        word = f"{EDGE}{word}{EDGE}"
         if len(word) <= WINDOW:
             owner.append(number)
             parts.append(word)
@@ -110,8 +119,7 @@ class KernelMachine:
 
     weights: np.ndarray
     bias: float
-    slope: float
-    offset: float
+    calibration: np.ndarray
     decay: float
     landmarks: list[str]
 
@@ -124,30 +132,45 @@ class KernelMachine:
                 np.maximum.at(out, owner + at, (self.weights[slots] * weights).sum(1) + self.bias)
         return out
 
-    def score(self, margin: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.slope * margin + self.offset, -40, 40)))
+    def score(self, evidence: np.ndarray) -> np.ndarray:
+        return 1 / (1 + np.exp(-np.clip(evidence @ self.calibration, -40, 40)))
+
+
+def evidence_of(strongest: np.ndarray, hits: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """What calibration weighs: the strongest word, how many words count as insults, the length, and one."""
+    return np.column_stack([np.clip(strongest, -2, 2), np.log1p(hits), np.log1p(words), np.ones(len(hits))])
 
 
 def _plain(words: pa.Array) -> pa.Array:
-    return pc.utf8_trim(pc.utf8_lower(words), characters=".,;:!?\"'()[]{}")
+    """Lower-case letters and digits of each word; signs put between letters fall away."""
+    return pc.replace_substring_regex(pc.utf8_lower(words), MARKS, "")
 
 
-def text_margins(texts: pa.Array, machine: KernelMachine, seen: dict[str, float]) -> np.ndarray:
-    """The strongest word of each whole text; texts without words get the bias of an empty word."""
+def _sentence(text: str) -> list[str]:
+    words = ("".join(c for c in w if c.isalnum()) for w in text.lower().split())
+    return [w for w in words if w]
+
+
+def text_evidence(texts: pa.Array, machine: KernelMachine, seen: dict[str, float]) -> np.ndarray:
+    """Evidence from every word of each whole text; a text without words counts as one empty word."""
     split = pc.split_pattern_regex(texts.fill_null(""), WORD_BREAK)
-    words = _plain(split.flatten()).dictionary_encode()
-    names = words.dictionary.to_pylist()
-    fresh = [w for w in names if w not in seen]
+    words = split.flatten().dictionary_encode()
+    names = _plain(words.dictionary).to_pylist()
+    fresh = list(dict.fromkeys(w for w in names if w not in seen))
     if len(seen) + len(fresh) > 400_000:  # bounds the memory of a Python worker; only speed depends on it
         seen.clear()
-        fresh = names
+        fresh = list(dict.fromkeys(names))
     seen.update(zip(fresh, machine.margins(fresh).tolist(), strict=True))
     table = np.fromiter((seen[w] for w in names), float, len(names))
-    bounds = np.asarray(split.offsets)
-    return np.maximum.reduceat(table[np.asarray(words.indices)], bounds[:-1] - bounds[0]) if len(texts) else np.zeros(0)
+    bounds = np.asarray(split.offsets).astype(np.int64)
+    if not len(texts):
+        return np.zeros((0, 4))
+    margin, first = table[np.asarray(words.indices)], bounds[:-1] - bounds[0]
+    hits = np.add.reduceat((margin > HIT).astype(np.int64), first)
+    return evidence_of(np.maximum.reduceat(margin, first), hits, np.diff(bounds))
 
 
-def _train_machine(x: np.ndarray, y: np.ndarray, *, cost: float, rounds: int = 60) -> tuple[np.ndarray, float]:
+def _train_machine(x: np.ndarray, y: np.ndarray, *, cost: float, rounds: int = 30) -> tuple[np.ndarray, float]:
     """Dual coordinate descent for the squared-hinge linear SVM; classes weigh the same in total."""
     n = len(y)
     data = np.hstack([x, np.ones((n, 1))])
@@ -170,22 +193,22 @@ def _train_machine(x: np.ndarray, y: np.ndarray, *, cost: float, rounds: int = 6
     return w[:-1], float(w[-1])
 
 
-def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 96, decay: float = 0.7, cost: float = 1.0, turns: int = 3, max_words: int = 3000) -> KernelMachine:
+def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 384, decay: float = 0.7, cost: float = 10.0, turns: int = 3, max_words: int = 2500) -> KernelMachine:
     """Learn from labelled documents, sentence by sentence. Deterministic for a set of rows, whatever their order."""
-    import re
-
     order = sorted(range(len(texts)), key=lambda i: (labels[i], texts[i]))
-    strip, split = ".,;:!?\"'()[]{}", re.compile(WORD_BREAK)
-    sentences: list[list[list[str]]] = [[[w.strip(strip).lower() for w in split.split(s) if w.strip(strip)] for s in re.split(SENTENCE_BREAK, texts[i])] for i in order]
-    toxic = [d for d, i in zip(sentences, order, strict=True) if labels[i] == 1]
-    clean = [d for d, i in zip(sentences, order, strict=True) if labels[i] == 0]
+    texts = [texts[i] for i in order]
+    labels = [labels[i] for i in order]
+    sentences = [[_sentence(part) for part in re.split(SENTENCE_BREAK, text)] for text in texts]
+    toxic = [d for d, label in zip(sentences, labels, strict=True) if label == 1]
+    clean = [d for d, label in zip(sentences, labels, strict=True) if label == 0]
     share = (len(toxic) + 1) / (len(texts) + 2) if texts else 0.5
     if not toxic or not clean:
-        return KernelMachine(np.zeros(SLOTS), 0.0, 0.0, float(np.log(share / (1 - share))), decay, [])
+        return KernelMachine(np.zeros(SLOTS), 0.0, np.array([0, 0, 0, np.log(share / (1 - share))]), decay, [])
     in_clean = Counter(w for d in clean for w in {w for s in d for w in s})
     documents = [{w for s in d for w in s} for d in toxic]
     in_toxic = Counter(w for d in documents for w in d)
     # The first guess: words that explain most toxic documents not explained yet and are rare in clean ones.
+    telling = [w for w, n in in_toxic.items() if n >= max(3, len(toxic) // 100) and n * len(clean) > 8 * (in_clean[w] + 1) * len(toxic)]
     left, witnesses = set(range(len(documents))), []
     where: dict[str, list[int]] = {}
     for number, d in enumerate(documents):
@@ -200,51 +223,48 @@ def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 96, dec
         left.difference_update(found)
     rng = np.random.default_rng(11)
     common = sorted(in_clean, key=lambda w: (-in_clean[w], w))
-    plain = [w for w in common if len(w) > 3][: 4 * landmarks]
-    marks = list(dict.fromkeys([*witnesses, *(plain[i] for i in rng.permutation(len(plain))[: max(landmarks - len(witnesses), 8)])])) or common[:8]
-    gram = kernel(marks, marks, decay)
-    values, vectors = np.linalg.eigh(gram)
-    keep = values > 1e-6
-    whiten = vectors[:, keep] / np.sqrt(values[keep])
-    table, owner = windows(marks)
-    first = np.unique(owner, return_index=True)[1]
-    mark_slots, mark_weights = features(table[first], decay)
-
-    def machine_of(w: np.ndarray, bias: float) -> KernelMachine:
+    plain = [w for w in common if len(w) > 3][: 8 * landmarks]
+    plain = [plain[i] for i in rng.permutation(len(plain))]
+    names = sorted(set(in_clean) | set(in_toxic))
+    witnesses = list(dict.fromkeys([*witnesses, *sorted(telling, key=lambda w: (-in_toxic[w], w))]))[:max_words]
+    positive, hard, machine, margin = witnesses or sorted(in_toxic, key=lambda w: (-in_toxic[w], w))[:8], [], None, {}
+    for _ in range(turns):
+        marks = list(dict.fromkeys([*positive[: landmarks // 2], *hard[: landmarks // 4], *plain]))[:landmarks]
+        values, vectors = np.linalg.eigh(kernel(marks, marks, decay))
+        keep = values > 1e-4
+        whiten = vectors[:, keep] / np.sqrt(values[keep])
+        negative = [w for w in dict.fromkeys([*hard, *common[:max_words]]) if w not in set(positive)]
+        words = [*positive, *negative]
+        y = np.array([1.0] * len(positive) + [-1.0] * len(negative))
+        w, bias = _train_machine(kernel(words, marks, decay) @ whiten, y, cost=cost)
+        table, owner = windows(marks)
+        mark_slots, mark_weights = features(table[np.unique(owner, return_index=True)[1]], decay)
         folded = np.zeros(SLOTS)
         for coefficient, slots, weights in zip(whiten @ w, mark_slots, mark_weights, strict=True):
             np.add.at(folded, slots, coefficient * weights)
-        return KernelMachine(folded, bias, 1.0, 0.0, decay, marks)
-
-    negative = common[: max_words // 2]
-    positive = {w: 1.0 for w in witnesses}
-    machine = None
-    names = sorted(set(in_clean) | set(in_toxic))
-    for _ in range(turns):
-        words = [*positive, *(w for w in negative if w not in positive)]
-        y = np.array([1.0] * len(positive) + [-1.0] * (len(words) - len(positive)))
-        machine = machine_of(*_train_machine(kernel(words, marks, decay) @ whiten, y, cost=cost))
+        machine = KernelMachine(folded, bias, np.zeros(4), decay, marks)
         margin = dict(zip(names, machine.margins(names).tolist(), strict=True))
-        # The sentence of each toxic document that looks worst, by its worst word, stands for the document.
-        worst = Counter(max((max(s, key=lambda w: (margin[w], w)) for s in d if s), key=lambda w: (margin[w], w)) for d in toxic if any(d))
-        positive = {w: 1.0 for w, _ in sorted(worst.items(), key=lambda x: (-x[1], x[0])) if in_toxic[w] * len(clean) > 4 * in_clean[w] * len(toxic)} or positive
-        hard = sorted(in_clean, key=lambda w: (-margin[w], w))[: max_words // 2]
-        negative = list(dict.fromkeys([*hard, *common[: max_words // 2]]))
-        positive = dict(list(positive.items())[:max_words])
-    top = lambda d: max((margin[w] for s in d for w in s), default=-1.0)
-    m = np.array([*map(top, toxic), *map(top, clean)])
+        # Every sentence of a toxic document that looks as bad as its worst one tells more insults.
+        worst = Counter(w for d in documents for w in d if margin[w] > -0.5 and in_toxic[w] * len(clean) > 6 * in_clean[w] * len(toxic) and in_toxic[w] > 1)
+        found = Counter(max((w for w in d), key=lambda w: (margin[w], w)) for d in documents if d)
+        worst.update({w: n for w, n in found.items() if in_toxic[w] * len(clean) > 6 * in_clean[w] * len(toxic)})
+        worst.update({w: in_toxic[w] for w in telling})
+        positive = [w for w, _ in sorted(worst.items(), key=lambda x: (-x[1], x[0]))][:max_words] or positive
+        hard = sorted(in_clean, key=lambda w: (-margin[w], w))[:max_words]
+    def evidence(group: list[list[list[str]]]) -> np.ndarray:
+        margins = [np.array([margin[w] for s in d for w in s] or [-2.0]) for d in group]
+        return evidence_of(np.array([m.max() for m in margins]), np.array([(m > HIT).sum() for m in margins]), np.array([len(m) for m in margins]))
+
+    x = np.vstack([evidence(toxic), evidence(clean)])
     target = np.array([1.0 - 1 / (len(toxic) + 2)] * len(toxic) + [1 / (len(clean) + 2)] * len(clean))
-    slope, offset = 1.0, 0.0
+    ridge = np.diag([1e-2, 1e-2, 1e-2, 1e-6])
     for _ in range(50):  # logistic calibration by Newton steps
-        chance = 1 / (1 + np.exp(-np.clip(slope * m + offset, -40, 40)))
+        chance = machine.score(x)
         curve = chance * (1 - chance) + 1e-9
-        gradient = np.array([((target - chance) * m).sum() - 1e-3 * slope, (target - chance).sum()])
-        hessian = np.array([[(curve * m * m).sum() + 1e-3, (curve * m).sum()], [(curve * m).sum(), curve.sum()]])
-        move = np.clip(np.linalg.solve(hessian + 1e-9 * np.eye(2), gradient), -5, 5)
-        slope, offset = slope + move[0], offset + move[1]
+        move = np.linalg.solve((x * curve[:, None]).T @ x + ridge, x.T @ (target - chance) - ridge @ machine.calibration)
+        machine.calibration = machine.calibration + np.clip(move, -3, 3)
         if abs(move).max() < 1e-8:
             break
-    machine.slope, machine.offset = float(slope), float(offset)
     return machine
 
 
@@ -261,8 +281,8 @@ def score_toxicity(docs: DataFrame, machine: KernelMachine) -> DataFrame:
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[str, float] = {}
         for part in chunks(batches, limit=8 << 20):
-            margin = text_margins(part.column(1), shared.value, seen)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.score(margin))], ["doc_id", "score"])
+            evidence = text_evidence(part.column(1), shared.value, seen)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.score(evidence))], ["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(score, "doc_id long, score double")
 
