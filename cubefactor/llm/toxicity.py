@@ -208,7 +208,7 @@ def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 384, de
     documents = [{w for s in d for w in s} for d in toxic]
     in_toxic = Counter(w for d in documents for w in d)
     # The first guess: words that explain most toxic documents not explained yet and are rare in clean ones.
-    telling = [w for w, n in in_toxic.items() if n >= max(3, len(toxic) // 100) and n * len(clean) > 8 * (in_clean[w] + 1) * len(toxic)]
+    telling = [w for w, n in in_toxic.items() if n >= max(4, len(toxic) // 50) and n * len(clean) > 20 * (in_clean[w] + 1) * len(toxic)]
     left, witnesses = set(range(len(documents))), []
     where: dict[str, list[int]] = {}
     for number, d in enumerate(documents):
