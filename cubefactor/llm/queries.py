@@ -7,11 +7,16 @@ from pyspark.sql import functions as F
 
 from .common import load
 from .media import media_features, media_table
+from .packing import pack
 from .quality import classify_quality
 from .toxicity import classify_toxicity
 from .warc import archive_round_trip
 
 
+def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(load(spark, sf_dir, "documents"))
+
+
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify_toxicity(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
@@ -31,6 +36,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op2_packing": op2_packing,
     "op3_toxicity": op3_toxicity,
     "op7_media": op7_media,
     "op8_quality": op8_quality,

@@ -18,6 +18,7 @@ ignored.
 
 from __future__ import annotations
 
+import pickle
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -146,9 +147,10 @@ def _plain(words: pa.Array) -> pa.Array:
     return pc.replace_substring_regex(pc.utf8_lower(words), MARKS, "")
 
 
-def _sentence(text: str) -> list[str]:
+def _sentence(text: str, known: dict[str, str]) -> list[str]:
+    """Words of a sentence; equal words are one object."""
     words = ("".join(c for c in w if c.isalnum()) for w in text.lower().split())
-    return [w for w in words if w]
+    return [known.setdefault(w, w) for w in words if w]
 
 
 def text_evidence(texts: pa.Array, machine: KernelMachine, seen: dict[str, float]) -> np.ndarray:
@@ -198,7 +200,8 @@ def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 384, de
     order = sorted(range(len(texts)), key=lambda i: (labels[i], texts[i]))
     texts = [texts[i] for i in order]
     labels = [labels[i] for i in order]
-    sentences = [[_sentence(part) for part in re.split(SENTENCE_BREAK, text)] for text in texts]
+    known: dict[str, str] = {}
+    sentences = [[_sentence(part, known) for part in re.split(SENTENCE_BREAK, text)] for text in texts]
     toxic = [d for d, label in zip(sentences, labels, strict=True) if label == 1]
     clean = [d for d, label in zip(sentences, labels, strict=True) if label == 0]
     share = (len(toxic) + 1) / (len(texts) + 2) if texts else 0.5
@@ -269,9 +272,19 @@ def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 384, de
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, *, target: str = "toxic", fold: int = 3, held: int = 1, max_train_rows: int = 4000, **options) -> KernelMachine:
-    """Fit on at most `max_train_rows` labelled documents outside the held-out fold, read to the driver."""
-    got = labelled_sample(docs, labels, target, crc_fold(F.col("doc_id"), fold) != held, max_train_rows).select("text", "label").toArrow()
-    return fit_machine(got.column("text").to_pylist(), got.column("label").to_pylist(), **options)
+    """Fit in one executor task on at most `max_train_rows` labelled documents outside the held-out fold."""
+    sample = labelled_sample(docs, labels, target, crc_fold(F.col("doc_id"), fold) != held, max_train_rows).select("text", "label")
+
+    def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        texts, marks = [], []
+        for batch in batches:
+            texts += batch.column(0).to_pylist()
+            marks += batch.column(1).to_pylist()
+        if texts:
+            yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit_machine(texts, marks, **options))], pa.binary())], ["machine"])
+
+    found = sample.repartition(1).mapInArrow(learn, "machine binary").collect()
+    return pickle.loads(found[0]["machine"]) if found else fit_machine([], [], **options)
 
 
 def score_toxicity(docs: DataFrame, machine: KernelMachine) -> DataFrame:
