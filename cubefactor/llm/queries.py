@@ -9,6 +9,7 @@ from .common import load
 from .media import media_features, media_table
 from .packing import pack
 from .quality import classify_quality
+from .simhash import near_duplicates
 from .toxicity import classify_toxicity
 from .warc import archive_round_trip
 
@@ -21,6 +22,10 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify_toxicity(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
+def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(load(spark, sf_dir, "documents"))
+
+
 def op7_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_features(media_table(load(spark, sf_dir, "documents"))).drop("tile_npy")
 
@@ -38,6 +43,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op2_packing": op2_packing,
     "op3_toxicity": op3_toxicity,
+    "op6_simhash": op6_simhash,
     "op7_media": op7_media,
     "op8_quality": op8_quality,
     "op10_warc": op10_warc,
