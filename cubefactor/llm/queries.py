@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import load
+from .line_dedup import line_decisions
 from .media import media_features, media_table
 from .packing import pack
 from .quality import classify_quality
@@ -34,6 +35,10 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify_quality(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
+def op9_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_decisions(load(spark, sf_dir, "documents"))
+
+
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = archive_round_trip(load(spark, sf_dir, "pages"), segment_bytes=4096)
     refers = F.when(F.col("record_type") == "revisit", F.col("refers_to"))
@@ -46,6 +51,7 @@ QUERIES = {
     "op6_simhash": op6_simhash,
     "op7_media": op7_media,
     "op8_quality": op8_quality,
+    "op9_lines": op9_lines,
     "op10_warc": op10_warc,
 }
 ORACLE_SQL: dict[str, str] = {
