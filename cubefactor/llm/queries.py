@@ -12,10 +12,15 @@ from .media import media_features, media_table
 from .packing import pack
 from .quality import classify_quality
 from .simhash import near_duplicates
+from .suffix_repeats import byte_repeats
 from .toxicity import classify_toxicity
 from .warc import archive_round_trip
 
 
+def op1_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return byte_repeats(load(spark, sf_dir, "documents")).drop("spans")
+
+
 def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(load(spark, sf_dir, "documents"))
 
@@ -51,6 +56,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_suffix_repeats": op1_suffix_repeats,
     "op2_packing": op2_packing,
     "op3_toxicity": op3_toxicity,
     "op5_decontamination": op5_decontamination,
