@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .block_repeats import word_repeats
 from .common import load
 from .decontaminate import contamination
 from .line_dedup import line_decisions
@@ -29,6 +30,10 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify_toxicity(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
+def op4_block_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return word_repeats(load(spark, sf_dir, "documents")).drop("spans")
+
+
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
 
@@ -59,6 +64,7 @@ QUERIES = {
     "op1_suffix_repeats": op1_suffix_repeats,
     "op2_packing": op2_packing,
     "op3_toxicity": op3_toxicity,
+    "op4_block_repeats": op4_block_repeats,
     "op5_decontamination": op5_decontamination,
     "op6_simhash": op6_simhash,
     "op7_media": op7_media,
