@@ -85,7 +85,7 @@ def _extend(window: int, block: int, buckets: int):
         for part in chunks(batches):
             stretches, bounds, ids = _words(part)
             for k, (wanted, settled) in enumerate(zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)):
-                pos, _ = read_wanted(wanted or [])
+                pos = read_wanted(wanted or [])[0]
                 size = bounds[k + 1] - bounds[k]
                 if not len(pos) or size < window:
                     continue

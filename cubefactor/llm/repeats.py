@@ -227,9 +227,9 @@ def shared_marks(docs: DataFrame, find: Callable[[pa.RecordBatch], Anchors], *,
                 several &= np.minimum.reduceat(first.doc, edge) != np.maximum.reduceat(first.doc, edge)
             want = first.take(np.flatnonzero(np.repeat(several, size)))
             by_doc = np.lexsort((want.pos, want.doc))
-            doc, pos, h = want.doc[by_doc], want.pos[by_doc], want.h[by_doc]
+            doc, pos, h, left, right = (getattr(want, f)[by_doc] for f in ("doc", "pos", "h", "left", "right"))
             for x, y in zip(*runs(doc), strict=True):
-                rows.append((int(doc[x]), WANTED, pos[x:y].astype("<u4").tobytes() + h[x:y].astype("<u8").tobytes()))
+                rows.append((int(doc[x]), WANTED, b"".join((pos[x:y].astype("<u4").tobytes(), h[x:y].astype("<u8").tobytes(), left[x:y].tobytes(), right[x:y].tobytes()))))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.binary()), strict=True)], names[1:])
 
@@ -237,14 +237,15 @@ def shared_marks(docs: DataFrame, find: Callable[[pa.RecordBatch], Anchors], *,
     return written(packed.repartition(buckets, "bucket").mapInArrow(judge, MARK), name)
 
 
-def read_wanted(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Places and hashes of the wanted anchors of a document."""
-    pos, h = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
+def read_wanted(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Places, hashes and reaches to the left and right of the wanted anchors of a document."""
+    parts = [(np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64))]
     for blob in blobs:
-        n = len(blob) // 12
-        pos.append(np.frombuffer(blob, "<u4", n).astype(np.int64))
-        h.append(np.frombuffer(blob, "<u8", n, 4 * n).astype(np.uint64))
-    return np.concatenate(pos), np.concatenate(h)
+        n = len(blob) // 14
+        pos, h = np.frombuffer(blob, "<u4", n), np.frombuffer(blob, "<u8", n, 4 * n)
+        left, right = np.frombuffer(blob, np.uint8, n, 12 * n), np.frombuffer(blob, np.uint8, n, 13 * n)
+        parts.append((pos.astype(np.int64), h.astype(np.uint64), left.astype(np.int64), right.astype(np.int64)))
+    return tuple(np.concatenate(c) for c in zip(*parts, strict=True))
 
 
 def with_marks(docs: DataFrame, marks: DataFrame, kinds: list[int], how: str) -> DataFrame:

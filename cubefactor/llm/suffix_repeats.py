@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import chunks, mix64, text_buffer, text_or_empty, written
-from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, joined, merge_spans, pack_columns, read_spans, read_wanted, shared_marks, span_marks, unpack_columns, with_marks
+from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, pack_columns, read_spans, read_wanted, runs, shared_marks, span_marks, unpack_columns, with_marks
 
 WINDOW, GRAM = 100, 16
 _CODES = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F))
@@ -42,11 +42,14 @@ def _eights(data: np.ndarray) -> np.ndarray:
     return out
 
 
-def anchor_places(data: np.ndarray, offsets: np.ndarray, window: int = WINDOW, gram: int = GRAM) -> np.ndarray:
-    """Places of the anchors of all windows, in order; windows stay within their row."""
+def anchor_places(data: np.ndarray, offsets: np.ndarray, window: int = WINDOW, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Anchors in order, with the start of the first and of the last window that each stands for.
+
+    Every window within a row has one anchor, and the windows of an anchor follow one another.
+    """
     n, span = len(data), window - gram + 1
     if n < window:
-        return np.zeros(0, np.int64)
+        return (np.zeros(0, np.int64),) * 3
     eights = _eights(data)
     grams = eights[: n - gram + 1] * np.uint64(0x9E3779B97F4A7C15) + eights[gram - 8 : n - gram + 1 + gram - 8] * np.uint64(0xC2B2AE3D27D4EB4F)
     grams ^= grams >> np.uint64(32)
@@ -64,8 +67,10 @@ def anchor_places(data: np.ndarray, offsets: np.ndarray, window: int = WINDOW, g
     whole = sizes >= window
     first = np.repeat(offsets[:-1][whole], sizes[whole] - window + 1)
     within = np.arange(len(first)) - np.repeat(np.cumsum(sizes[whole] - window + 1) - (sizes[whole] - window + 1), sizes[whole] - window + 1)
-    chosen = (least[first + within] & low).astype(np.int64)
-    return chosen[np.concatenate([[True], chosen[1:] != chosen[:-1]])] if len(chosen) else chosen
+    start = first + within
+    chosen = (least[start] & low).astype(np.int64)
+    begin, end = runs(chosen)
+    return chosen[begin], start[begin], start[end - 1]
 
 
 def byte_anchors(part: pa.RecordBatch, window: int = WINDOW, gram: int = GRAM) -> Anchors:
@@ -78,11 +83,10 @@ def byte_anchors(part: pa.RecordBatch, window: int = WINDOW, gram: int = GRAM) -
         b = min(a + step + window - 1, len(data))
         inner = np.unique(np.clip(offsets, a, b)) - a
         if len(inner) > 1:
-            found.append(anchor_places(data[a:b], inner, window, gram) + a)
-    pos = np.unique(np.concatenate(found)) if found else np.zeros(0, np.int64)
+            found.append(tuple(x + a for x in anchor_places(data[a:b], inner, window, gram)))
+    pos, start, last = (np.concatenate(c) for c in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 3
     row = np.searchsorted(offsets, pos, "right") - 1
-    left = np.minimum(pos - offsets[row], window - gram)
-    right = np.minimum(offsets[row + 1] - pos, window)
+    left, right = pos - start, last + window - pos
     stretches = Stretches(_CODES[data])
     h, c = stretches.hash(pos, pos + gram), stretches.hash(pos - left, pos + right)
     c = mix64(c ^ (left.astype(np.uint64) << np.uint64(8)))
@@ -131,9 +135,9 @@ def maximal_repeats(text: np.ndarray, bounds: np.ndarray, least: int = WINDOW) -
     depth = int(sizes.max())
     begin = np.cumsum(size) - size
     group = np.repeat(np.arange(len(size)), size)
-    block = max(1, (16 << 20) // depth)
+    block = max(1, (2 << 20) // depth)
     at = 0
-    while at < len(size):  # whole groups, about 16 MB of suffixes at a time
+    while at < len(size):  # whole groups, about 2 MB of suffixes at a time
         upto = max(at + 1, int(np.searchsorted(begin, begin[at] + block, "right")) - 1)
         a, b = int(begin[at]), int(begin[upto]) if upto < len(size) else len(place)
         reach = place[a:b, None] + np.arange(depth)
@@ -146,9 +150,10 @@ def maximal_repeats(text: np.ndarray, bounds: np.ndarray, least: int = WINDOW) -
         common = np.where(differs.any(1), differs.argmax(1), depth)
         common[own[1:] != own[:-1]] = 0
         places, befores = place[a:b][ranked], before[a:b][ranked]
-        for length, x, y in interval_tree(common.tolist(), least):
-            if (befores[x : y + 1] != befores[x]).any():
-                yield length, places[x : y + 1]
+        changes = np.concatenate([[0], np.cumsum(befores[1:] != befores[:-1])])
+        tree = np.array(interval_tree(common.tolist(), least), np.int64).reshape(-1, 3)
+        for length, x, y in tree[changes[tree[:, 2]] > changes[tree[:, 1]]].tolist():
+            yield length, places[x : y + 1]
         at = upto
 
 
@@ -175,15 +180,13 @@ def _surroundings(window: int, gram: int, buckets: int):
             data, offsets = text_buffer(part.column(1))
             ids = part.column(0).to_pylist()
             for k, blobs in enumerate(part.column(2).to_pylist()):
-                pos, h = read_wanted(blobs or [])
+                pos, h, left, right = read_wanted(blobs or [])
                 if not len(pos):
                     continue
-                start = np.maximum(pos - (window - gram), 0)
-                stop = np.minimum(pos + window, offsets[k + 1] - offsets[k])
-                sizes = stop - start
+                start, sizes = pos - left, left + right
                 take = np.repeat(start - (np.cumsum(sizes) - sizes), sizes) + np.arange(int(sizes.sum())) + offsets[k]
                 held.append((h, np.full(len(h), ids[k], np.int64), start, sizes, data[take]))
-            if sum(len(x[4]) for x in held) > 32 << 20:
+            if sum(len(x[4]) for x in held) > 8 << 20:
                 yield flush()
                 held = []
         if held:
@@ -203,13 +206,13 @@ def _resolve(window: int):
             h, doc, start, sizes = (np.concatenate([p[k] for p in parts]) for k in range(4))
             text, start, sizes = np.concatenate([p[4] for p in parts]), start.astype(np.int64), sizes.astype(np.int64)
             spans: list[tuple] = []
-            # Anchors of one hash stay together; pieces of about 8 MB are worked through at a time.
+            # Anchors of one hash stay together; pieces of about 2 MB are worked through at a time.
             order = np.argsort(h, kind="stable")
             h, doc, start, sizes, first = h[order], doc[order], start[order], sizes[order], (np.cumsum(sizes) - sizes)[order]
             ends = np.cumsum(sizes)
             at = 0
             while at < len(h):
-                upto = int(np.searchsorted(ends, ends[at] + (8 << 20)))
+                upto = int(np.searchsorted(ends, ends[at] + (2 << 20)))
                 upto = int(np.searchsorted(h, h[min(upto, len(h) - 1)], "right"))
                 size = sizes[at:upto]
                 bounds = np.concatenate([[0], np.cumsum(size)])
