@@ -42,9 +42,13 @@ def _supply3(spark, sf):
 
 
 def _events(extra: list[str]):
-    keys = {"day": F.date_format("ts", "yyyy-MM-dd"), "hour": F.hour("ts"), "k": F.get_json_object("props", "$.k").cast("int"), "bin": F.floor(F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")) / 30).cast("int")}
-
     def build(spark, sf):
+        keys = {
+            "day": F.date_format("ts", "yyyy-MM-dd"),
+            "hour": F.hour("ts"),
+            "k": F.get_json_object("props", "$.k").cast("int"),
+            "bin": F.floor(F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")) / 30).cast("int"),
+        }
         return raw_cells(load(spark, sf, "events"), [F.col("user_id"), F.col("event_type"), *(keys[e] for e in extra)], F.log(1 + F.avg("value")))
 
     return build
