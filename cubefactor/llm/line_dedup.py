@@ -2,7 +2,7 @@
 
 Lines are compared by their character shingles. Each batch hashes its distinct lines once: signatures of
 `bands * rows` minima, cut into bands; a band's hash and the line's identifier are shuffled. Lines that share
-a band are candidates (at the default bands a pair at the threshold is found with probability over 0.99).
+a band are candidates (at the default bands a pair at the threshold is found with probability 0.99, a closer one almost surely).
 Their texts are fetched, their exact Jaccard similarity is checked, and union-find over the verified links
 gives components: within each bucket first, then across the cluster by alternating stars. Of a component
 the line of the smallest (doc_id, line number) stays. Equal lines have one identifier from the start.
@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import chunks, mix64, text_buffer, text_or_empty, written
 from .components import connected_components
 
-SHINGLE, BANDS, ROWS, THRESHOLD = 5, 8, 3, 0.8
+SHINGLE, BANDS, ROWS, THRESHOLD = 8, 7, 3, 0.8
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -66,12 +66,13 @@ def shingle_codes(lines: list[str], width: int = SHINGLE) -> tuple[np.ndarray, n
 def band_keys(lines: list[str], bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
     """Band hashes of each line, one column per band."""
     code, bounds = shingle_codes(lines)
+    code = (code >> np.uint64(32)).astype(np.uint32)
     out = np.zeros((len(lines), bands), np.uint64)
     rng = np.random.default_rng(20)
     for band in range(bands):
         key = np.full(len(lines), band + 1, np.uint64)
         for _ in range(rows):
-            factor = np.uint64(int(rng.integers(0, 1 << 62)) * 2 + 1)
+            factor = np.uint32(int(rng.integers(0, 1 << 31)) * 2 + 1)
             key = mix64(key * _ODD ^ np.minimum.reduceat(code * factor, bounds[:-1]))
         out[:, band] = key
     return out
@@ -123,7 +124,10 @@ def _bands(bands: int, rows: int):
 
 
 def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of the bands that two different lines share, each once."""
+    """The lines of each band that two different lines share, under a key made of the lines themselves.
+
+    Bands that the same lines share give the same rows, so that lines are verified together once.
+    """
     parts = [(np.asarray(b.column(0)), np.asarray(b.column(1))) for b in batches]
     if not parts:
         return
@@ -134,7 +138,12 @@ def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     key, line = key[fresh], line[fresh]
     again = np.concatenate([[False], key[1:] == key[:-1]])
     kept = again | np.concatenate([again[1:], [False]])
-    yield pa.RecordBatch.from_arrays([pa.array(key[kept]), pa.array(line[kept])], ["key", "id"])
+    key, line = key[kept], line[kept]
+    if len(key):
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+        size = np.diff(np.append(first, len(key)))
+        members = mix64(np.add.reduceat(mix64(line.view(np.uint64)), first) ^ size.astype(np.uint64))
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(members, size).view(np.int64)), pa.array(line)], ["key", "id"])
 
 
 def _lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -194,7 +203,7 @@ def removed_lines(docs: DataFrame, *, threshold: float = THRESHOLD, bands: int =
     places = written(own.mapInArrow(_occurrences, "doc_id long, line int, id long"), "line-places")
     firsts = written(places.groupBy("id").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n")), "line-firsts")
     shared = own.mapInArrow(_bands(bands, rows), "key long, id long").repartition(tasks, "key").mapInArrow(_shared, "key long, id long")
-    candidates = written(shared, "line-candidates")
+    candidates = written(shared.distinct(), "line-candidates")
     wanted = candidates.select("id").distinct().join(firsts, "id").groupBy(F.col("first.doc_id").alias("at")).agg(F.collect_list(F.struct(F.col("first.line").alias("line"), "id")).alias("wanted"))
     texts = own.join(wanted, F.col("doc_id") == F.col("at")).select("text", "wanted").mapInArrow(_lines_of, "id long, plain string").dropDuplicates(["id"])
     links = candidates.join(texts, "id").select("key", "id", "plain").repartition(tasks, "key").mapInArrow(_verify(threshold), "lo long, hi long")
