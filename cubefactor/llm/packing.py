@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import math
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,8 +34,6 @@ from pyspark.sql.window import Window
 from .common import chunks, text_or_empty, written
 
 CAPACITY, UNIT, END_ID = 4096, 32, 2
-#: Where texts may be split before tokenizing: white space separates the tokenizer's words and is dropped.
-_BLANKS = r"[\x20\x09-\x0D]+"
 _TOKENIZERS: dict[str, object] = {}
 
 
@@ -52,20 +51,26 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
-def token_ids(texts: pa.Array, tokenizer, seen: dict[str, np.ndarray], end_id: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
-    """Ids of all texts, each closed by the end token, and n+1 offsets; distinct words are encoded once."""
-    split = pc.split_pattern_regex(texts, _BLANKS)
+def token_ids(texts: pa.Array, tokenizer, seen: dict[str, bytes], end_id: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of all texts, each closed by the end token, and n+1 offsets; distinct words are encoded once.
+
+    Texts may be split at white space first: it separates the tokenizer's words and is dropped. Ids must fit
+    16 bits.
+    """
+    split = pc.ascii_split_whitespace(texts)
     words = split.flatten().dictionary_encode()
     names = words.dictionary.to_pylist()
     fresh = [w for w in names if w not in seen]
-    if len(seen) + len(fresh) > 500_000:  # bounds a Python worker's memory; only speed depends on it
+    if len(seen) + len(fresh) > 300_000:  # bounds a Python worker's memory; only speed depends on it
         seen.clear()
         fresh = names
-    for word, got in zip(fresh, tokenizer.encode_batch_fast(fresh, add_special_tokens=False), strict=True):
-        seen[word] = np.array(got.ids, np.uint32)
+    for at in range(0, len(fresh), 4000):  # the tokenizer's results are large; only the ids are kept, as bytes
+        part = fresh[at : at + 4000]
+        for word, got in zip(part, tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
+            seen[word] = array("H", got.ids).tobytes()
     table = [seen[w] for w in names]
-    sizes = np.fromiter(map(len, table), np.int64, len(table))
-    flat = np.concatenate([*table, np.zeros(0, np.uint32)])
+    sizes = np.fromiter(map(len, table), np.int64, len(table)) // 2
+    flat = np.frombuffer(b"".join(table), np.uint16).astype(np.uint32)
     begins = np.cumsum(sizes) - sizes
     index = np.asarray(words.indices).astype(np.int64)
     bounds = np.asarray(split.offsets).astype(np.int64)
@@ -85,8 +90,8 @@ def cut_pieces(docs: DataFrame, *, tokenizer: str, capacity: int = CAPACITY, uni
     """Every piece of every document: whole sequences, stem and tail; a tail carries its ids, as it may be cut again."""
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[str, np.ndarray] = {}
-        for part in chunks(batches, limit=8 << 20):
+        seen: dict[str, bytes] = {}
+        for part in chunks(batches, limit=4 << 20):
             ids, offsets = token_ids(part.column(1), _tokenizer(tokenizer), seen, end_id)
             raw = memoryview(ids.astype("<u4").tobytes())
             doc, start, length, crc, total, small = [], [], [], [], [], []
