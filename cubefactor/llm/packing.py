@@ -21,20 +21,20 @@ from __future__ import annotations
 
 import math
 import zlib
-from array import array
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import chunks, text_or_empty, written
+from .bpe import WordMerger, distinct_spans, simple_spans
+from .common import chunks, text_buffer, text_or_empty, written
 
 CAPACITY, UNIT, END_ID = 4096, 32, 2
 _TOKENIZERS: dict[str, object] = {}
+_MERGERS: dict[str, WordMerger] = {}
 
 
 def _tokenizer(path: str):
@@ -45,44 +45,46 @@ def _tokenizer(path: str):
     return _TOKENIZERS[path]
 
 
+def _merger(path: str) -> WordMerger:
+    if path not in _MERGERS:
+        _MERGERS[path] = WordMerger(path)
+    return _MERGERS[path]
+
+
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
     return public_tokenizers.path(name)
 
 
-def token_ids(texts: pa.Array, tokenizer, seen: dict[str, bytes], end_id: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
+def token_ids(texts: pa.Array, path: str, end_id: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
     """Ids of all texts, each closed by the end token, and n+1 offsets; distinct words are encoded once.
 
-    Texts may be split at white space first: it separates the tokenizer's words and is dropped. Ids must fit
-    16 bits.
+    Plain words are merged in numpy (see `bpe`), the others by the tokenizer's library.
     """
-    split = pc.ascii_split_whitespace(texts)
-    words = split.flatten().dictionary_encode()
-    names = words.dictionary.to_pylist()
-    fresh = [w for w in names if w not in seen]
-    if len(seen) + len(fresh) > 300_000:  # bounds a Python worker's memory; only speed depends on it
-        seen.clear()
-        fresh = names
-    for at in range(0, len(fresh), 4000):  # the tokenizer's results are large; only the ids are kept, as bytes
-        part = fresh[at : at + 4000]
-        for word, got in zip(part, tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
-            seen[word] = array("H", got.ids).tobytes()
-    table = [seen[w] for w in names]
-    sizes = np.fromiter(map(len, table), np.int64, len(table)) // 2
-    flat = np.frombuffer(b"".join(table), np.uint16).astype(np.uint32)
-    begins = np.cumsum(sizes) - sizes
-    index = np.asarray(words.indices).astype(np.int64)
-    bounds = np.asarray(split.offsets).astype(np.int64)
-    bounds = bounds - bounds[0]
-    lengths = sizes[index]
-    ends = np.concatenate([[0], np.cumsum(lengths)])
-    offsets = ends[bounds] + np.arange(len(bounds))  # one end token after each text
-    shift = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
-    target = np.repeat(ends[:-1] + shift - begins[index], lengths)
-    source = np.repeat(begins[index] - ends[:-1], lengths) + np.arange(int(ends[-1]))
+    data, bounds = text_buffer(texts)
+    low, starts, ends, library, row = simple_spans(data, bounds)
+    first, kind = distinct_spans(low, data, starts, ends, library)
+    by_library = library[first]
+    sizes = np.zeros(len(first), np.int64)
+    plain = first[~by_library]
+    flat, sizes[~by_library] = _merger(path).encode(low, starts[plain], ends[plain])
+    rare = first[by_library]
+    words = [data[a:b].tobytes().decode() for a, b in zip(starts[rare].tolist(), ends[rare].tolist(), strict=True)]
+    got = [np.array(e.ids, np.int64) for e in _tokenizer(path).encode_batch_fast(words, add_special_tokens=False)] if words else []
+    sizes[by_library] = [len(g) for g in got]
+    begins = np.zeros(len(first), np.int64)
+    begins[~by_library] = np.cumsum(sizes[~by_library]) - sizes[~by_library]
+    begins[by_library] = len(flat) + np.cumsum(sizes[by_library]) - sizes[by_library]
+    flat = np.concatenate([flat, *got]).astype(np.uint32)
+    lengths = sizes[kind]
+    stops = np.concatenate([[0], np.cumsum(lengths)])
+    words_before = np.searchsorted(row, np.arange(len(bounds)))
+    offsets = stops[words_before] + np.arange(len(bounds))  # one end token after each text
     ids = np.full(int(offsets[-1]), end_id, np.uint32)
-    ids[target + source] = flat[source]
+    source = np.repeat(begins[kind] - stops[:-1], lengths) + np.arange(int(stops[-1]))
+    target = np.repeat(row, lengths) + np.arange(int(stops[-1]))
+    ids[target] = flat[source]
     return ids, offsets
 
 
@@ -90,9 +92,8 @@ def cut_pieces(docs: DataFrame, *, tokenizer: str, capacity: int = CAPACITY, uni
     """Every piece of every document: whole sequences, stem and tail; a tail carries its ids, as it may be cut again."""
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[str, bytes] = {}
-        for part in chunks(batches, limit=4 << 20):
-            ids, offsets = token_ids(part.column(1), _tokenizer(tokenizer), seen, end_id)
+        for part in chunks(batches, limit=2 << 20):
+            ids, offsets = token_ids(part.column(1), tokenizer, end_id)
             raw = memoryview(ids.astype("<u4").tobytes())
             doc, start, length, crc, total, small = [], [], [], [], [], []
             for doc_id, a, b in zip(part.column(0).to_pylist(), offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
