@@ -14,8 +14,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Bytes of text that one vectorised step handles; bounds the memory of the numpy kernels.
-CHUNK_BYTES = 2 << 20
+#: Bytes of text that one vectorised step handles: bounds the kernels' memory and keeps their arrays in the cache.
+CHUNK_BYTES = 1 << 19
 #: Separators of words: space and the control characters tab to carriage return.
 IS_SPACE = np.zeros(256, bool)
 IS_SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -60,6 +60,14 @@ def written(frame: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(frame.schema).parquet(path)
 
 
+def unused(frame: DataFrame, stem: str) -> str:
+    """A column name that the frame doesn't have, whatever its columns are called."""
+    taken = {c.lower() for c in frame.columns}
+    while stem.lower() in taken:
+        stem += "_"
+    return stem
+
+
 def text_or_empty(column: str = "text") -> Column:
     return F.coalesce(F.col(column).cast("string"), F.lit(""))
 

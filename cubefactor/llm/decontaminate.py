@@ -72,13 +72,13 @@ def canonical_words(texts: pa.Array, seen: dict[str, tuple] | None = None) -> Ca
     bounds = bounds - bounds[0]
     words = flat.dictionary_encode()
     seen = {} if seen is None else seen
-    if len(seen) > 500_000:
-        seen.clear()
     facts = []
     for w in words.dictionary.to_pylist():
         found = seen.get(w)
         if found is None:
-            found = seen[w] = describe(w)
+            found = describe(w)
+            if len(seen) < 50_000:  # the most common words come early; the bound keeps workers small
+                seen[w] = found
         facts.append(found)
     index = np.asarray(words.indices).astype(np.int64)
     cores = pa.array([f[0] for f in facts], pa.string())

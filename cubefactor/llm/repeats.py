@@ -19,7 +19,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, written
+from .common import chunks, mix64, unused, written
 
 #: Kinds of marks on a document: stretches found to be repeats, and anchors whose surroundings are wanted.
 COVER, WANTED = 1, 2
@@ -250,5 +250,6 @@ def read_wanted(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray,
 
 def with_marks(docs: DataFrame, marks: DataFrame, kinds: list[int], how: str) -> DataFrame:
     """doc_id, text and the packed marks of the given kinds; a document's marks are bounded by its own length."""
-    chosen = marks.where(F.col("kind").isin(kinds)).groupBy(F.col("doc_id").alias("_at")).agg(*(F.collect_list(F.when(F.col("kind") == k, F.col("packed"))).alias(f"marks_{k}") for k in kinds))
-    return docs.join(chosen, F.col("doc_id") == F.col("_at"), how).drop("_at")
+    at = unused(docs, "_at")
+    chosen = marks.where(F.col("kind").isin(kinds)).groupBy(F.col("doc_id").alias(at)).agg(*(F.collect_list(F.when(F.col("kind") == k, F.col("packed"))).alias(unused(docs, f"marks_{k}")) for k in kinds))
+    return docs.join(chosen, F.col("doc_id") == F.col(at), how).drop(at)

@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, text_buffer, text_or_empty, written
+from .common import chunks, text_buffer, text_or_empty, unused, written
 from .components import connected_components, forest
 
 SHINGLE, THRESHOLD, SEED = 4, 4, 42
@@ -200,5 +200,6 @@ def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: int =
 def keep_first(docs: DataFrame, **options) -> DataFrame:
     """The rows of `docs` whose doc_id is the smallest of their group; rows without doc_id stay."""
     groups = near_duplicates(docs.where("doc_id IS NOT NULL"), **options)
-    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    name = unused(docs, "_gone")
+    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone, F.col("doc_id") == F.col(name), "left_anti")

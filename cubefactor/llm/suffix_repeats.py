@@ -276,9 +276,9 @@ def remove_repeats(docs: DataFrame, *, window: int = WINDOW, gram: int = GRAM) -
         for part in chunks(batches):
             at = part.schema.get_field_index("text")
             texts = part.column(at).to_pylist()
-            blobs = part.column(part.schema.get_field_index(f"marks_{COVER}")).to_pylist()
+            blobs = part.column(part.num_columns - 1).to_pylist()  # the marks come last
             kept = [t if t is None or not b else cut_text(t.encode(), b)[0].decode("utf-8", "ignore") for t, b in zip(texts, blobs, strict=True)]
-            columns = [pa.array(kept, part.schema.field(at).type) if name == "text" else part.column(k) for k, name in enumerate(part.schema.names) if not name.startswith("marks_")]
-            yield pa.RecordBatch.from_arrays(columns, [n for n in part.schema.names if not n.startswith("marks_")])
+            columns = [pa.array(kept, part.schema.field(at).type) if k == at else part.column(k) for k in range(part.num_columns - 1)]
+            yield pa.RecordBatch.from_arrays(columns, part.schema.names[:-1])
 
     return marked.mapInArrow(cut, docs.schema)

@@ -159,11 +159,10 @@ def text_evidence(texts: pa.Array, machine: KernelMachine, seen: dict[str, float
     words = split.flatten().dictionary_encode()
     names = _plain(words.dictionary).to_pylist()
     fresh = list(dict.fromkeys(w for w in names if w not in seen))
-    if len(seen) + len(fresh) > 400_000:  # bounds the memory of a Python worker; only speed depends on it
-        seen.clear()
-        fresh = list(dict.fromkeys(names))
-    seen.update(zip(fresh, machine.margins(fresh).tolist(), strict=True))
-    table = np.fromiter((seen[w] for w in names), float, len(names))
+    known = dict(zip(fresh, machine.margins(fresh).tolist(), strict=True))
+    for w in fresh[: max(0, 150_000 - len(seen))]:  # the most common words come early; the bound keeps workers small
+        seen[w] = known[w]
+    table = np.fromiter((known[w] if w in known else seen[w] for w in names), float, len(names))
     bounds = np.asarray(split.offsets).astype(np.int64)
     if not len(texts):
         return np.zeros((0, 4))
