@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, row_bounds, span_hashes, text_buffer, text_or_empty, word_spans, written
+from .common import chunks, mix64, release_memory, row_bounds, span_hashes, text_buffer, text_or_empty, word_spans, written
 from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, read_spans, read_wanted, runs, shared_marks, span_marks, with_marks, pack_columns, unpack_columns
 
 WINDOW, BLOCK = 50, 7
@@ -122,6 +122,7 @@ def _first_documents(window: int):
             rows = list(span_marks(doc[later], at[later], at[later] + window))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.binary()), strict=True)], ["doc_id", "kind", "packed"])
+        release_memory()
 
     return run
 

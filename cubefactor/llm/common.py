@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import os
 import tempfile
 import uuid
@@ -91,6 +93,16 @@ def text_buffer(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[at[0] : at[-1]], at - at[0]
 
 
+def release_memory() -> None:
+    """Give freed memory back to the system: Python workers outlive their tasks and wait beside the next stage's."""
+    pa.default_memory_pool().release_unused()
+    gc.collect()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library: nothing to trim
+
+
 def chunks(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
     """Slices of the batches that hold about `limit` bytes of text each, and one row at least."""
     for batch in batches:
@@ -103,6 +115,7 @@ def chunks(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int =
             stop = min(max(stop, start + 1), batch.num_rows)
             yield batch.slice(start, stop - start)
             start = stop
+    release_memory()
 
 
 def mix64(values: np.ndarray) -> np.ndarray:

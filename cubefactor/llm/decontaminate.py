@@ -196,7 +196,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, block_windows: int =
     def search(block: Block):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             seen: dict = {}
-            for part in chunks(batches, limit=4 << 20):
+            for part in chunks(batches, limit=1 << 20):
                 rows = find_items(part.column(1), block, seen=seen, **options)
                 if rows:
                     ids = part.column(0).take(pa.array([r[0] for r in rows]))
@@ -220,7 +220,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, *, block_windows: i
     def clean(block: Block):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             seen: dict = {}
-            for part in chunks(batches, limit=4 << 20):
+            for part in chunks(batches, limit=1 << 20):
                 keep = np.ones(part.num_rows, bool)
                 keep[[r[0] for r in find_items(part.column(part.schema.get_field_index("text")), block, seen=seen, **options)]] = False
                 yield part.filter(pa.array(keep))

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, text_buffer, text_or_empty, written
+from .common import chunks, mix64, release_memory, text_or_empty, unused, written
 from .components import connected_components
 
 SHINGLE, BANDS, ROWS, THRESHOLD = 8, 7, 3, 0.8
@@ -83,7 +83,7 @@ def jaccard(a: set, b: set) -> float:
     return common / max(len(a) + len(b) - common, 1)
 
 
-def _documents(batches: Iterator[pa.RecordBatch], limit: int = 2 << 20):
+def _documents(batches: Iterator[pa.RecordBatch], limit: int = 1 << 19):
     """(doc_id, its lines) of each row, in bounded parts."""
     for part in chunks(batches, "text", limit):
         names = part.schema.names
@@ -144,6 +144,7 @@ def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         size = np.diff(np.append(first, len(key)))
         members = mix64(np.add.reduceat(mix64(line.view(np.uint64)), first) ^ size.astype(np.uint64))
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(members, size).view(np.int64)), pa.array(line)], ["key", "id"])
+    release_memory()
 
 
 def _lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,12 +161,8 @@ def _lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(texts, pa.string())], ["id", "plain"])
 
 
-def bucket_links(ids: list[int], texts: list[str], threshold: float) -> list[tuple[int, int]]:
+def bucket_links(ids: list[int], sets: list[set], threshold: float) -> list[tuple[int, int]]:
     """Verified links that connect what the bucket's similar lines connect; pairs already connected are skipped."""
-    sets = []
-    if texts:
-        code, bounds = shingle_codes(texts)
-        sets = [set(code[a:b].tolist()) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
     groups: list[list[int]] = []
     links = []
     for i in sorted(range(len(ids)), key=lambda i: (len(sets[i]), ids[i])):
@@ -181,16 +178,38 @@ def bucket_links(ids: list[int], texts: list[str], threshold: float) -> list[tup
     return links
 
 
-def _verify(threshold: float):
+def _verify(threshold: float, step: int = 2000):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        buckets: dict[int, dict[int, str]] = {}
+        buckets: dict[int, list[int]] = {}
+        texts: dict[int, str] = {}
         for batch in batches:
             for key, line, plain in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                buckets.setdefault(key, {})[line] = plain
-        found = {link for members in buckets.values() if len(members) > 1 for link in bucket_links(list(members), list(members.values()), threshold)}
+                buckets.setdefault(key, []).append(line)
+                texts.setdefault(line, plain)
+        found: set[tuple[int, int]] = set()
+        waiting: list[list[int]] = []
+        held = 0
+
+        def check() -> None:
+            lines = list({line for members in waiting for line in members})
+            code, bounds = shingle_codes([texts[line] for line in lines])
+            parts = {line: code[a:b] for line, a, b in zip(lines, bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)}
+            for members in waiting:
+                found.update(bucket_links(members, [set(parts[line].tolist()) for line in members], threshold))
+
+        for members in buckets.values():
+            if len(members) > 1:
+                waiting.append(members)
+                held += len(members)
+                if held > step:
+                    check()
+                    waiting, held = [], 0
+        if waiting:
+            check()
         if found:
             low, high = zip(*sorted(found), strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(low, pa.int64()), pa.array(high, pa.int64())], ["lo", "hi"])
+        release_memory()
 
     return run
 
@@ -228,8 +247,9 @@ def line_decisions(docs: DataFrame, **options) -> DataFrame:
 
 def dedup_lines(docs: DataFrame, **options) -> DataFrame:
     """`docs` with the removed lines taken out of `text`; other columns as they are."""
-    gone = removed_lines(docs, **options).select(F.col("doc_id").alias("_at"), F.col("removed").alias("_removed"))
-    joined = docs.join(gone, F.col("doc_id") == F.col("_at"), "left")
+    at, out = unused(docs, "_at"), unused(docs, "_removed")
+    gone = removed_lines(docs, **options).select(F.col("doc_id").alias(at), F.col("removed").alias(out))
+    joined = docs.join(gone, F.col("doc_id") == F.col(at), "left")
     lines = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda line, at: ~F.array_contains("_removed", at)), "\n")
-    return joined.select(*(F.when(F.col("_removed").isNull(), F.col("text")).otherwise(kept).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns))
+    kept = F.array_join(F.filter(lines, lambda line, number: ~F.array_contains(out, number)), "\n")
+    return joined.select(*(F.when(F.col(out).isNull(), F.col("text")).otherwise(kept).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns))

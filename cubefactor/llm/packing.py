@@ -92,7 +92,7 @@ def cut_pieces(docs: DataFrame, *, tokenizer: str, capacity: int = CAPACITY, uni
     """Every piece of every document: whole sequences, stem and tail; a tail carries its ids, as it may be cut again."""
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in chunks(batches, limit=2 << 20):
+        for part in chunks(batches, limit=1 << 20):
             ids, offsets = token_ids(part.column(1), tokenizer, end_id)
             raw = memoryview(ids.astype("<u4").tobytes())
             doc, start, length, crc, total, small = [], [], [], [], [], []

@@ -19,7 +19,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, unused, written
+from .common import chunks, mix64, release_memory, unused, written
 
 #: Kinds of marks on a document: stretches found to be repeats, and anchors whose surroundings are wanted.
 COVER, WANTED = 1, 2
@@ -232,6 +232,7 @@ def shared_marks(docs: DataFrame, find: Callable[[pa.RecordBatch], Anchors], *,
                 rows.append((int(doc[x]), WANTED, b"".join((pos[x:y].astype("<u4").tobytes(), h[x:y].astype("<u8").tobytes(), left[x:y].tobytes(), right[x:y].tobytes()))))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.binary()), strict=True)], names[1:])
+        release_memory()
 
     packed = docs.mapInArrow(gather, "bucket int, doc_id long, kind int, packed binary")
     return written(packed.repartition(buckets, "bucket").mapInArrow(judge, MARK), name)

@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, text_buffer, text_or_empty, unused, written
+from .common import chunks, release_memory, text_buffer, text_or_empty, unused, written
 from .components import connected_components, forest
 
 SHINGLE, THRESHOLD, SEED = 4, 4, 42
@@ -179,6 +179,7 @@ def fingerprint_links(distinct: DataFrame, threshold: int = THRESHOLD) -> DataFr
         if parts:
             low, high = link_entries(*(np.concatenate(c) for c in zip(*parts, strict=True)), threshold)
             yield pa.RecordBatch.from_arrays([pa.array(low), pa.array(high)], ["lo", "hi"])
+        release_memory()
 
     spark = distinct.sparkSession
     tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8) * 2

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, text_buffer, text_or_empty, written
+from .common import chunks, mix64, release_memory, text_buffer, text_or_empty, written
 from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, pack_columns, read_spans, read_wanted, runs, shared_marks, span_marks, unpack_columns, with_marks
 
 WINDOW, GRAM = 100, 16
@@ -228,6 +228,7 @@ def _resolve(window: int):
                 rows = list(span_marks(*(np.concatenate(c) for c in zip(*spans, strict=True))))
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.binary()), strict=True)], ["doc_id", "kind", "packed"])
+        release_memory()
 
     return run
 
