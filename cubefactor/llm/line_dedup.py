@@ -50,17 +50,26 @@ def shingle_codes(lines: list[str], width: int = SHINGLE) -> tuple[np.ndarray, n
     bounds = np.concatenate([[0], np.cumsum(counts)])
     begins = np.cumsum(sizes) - sizes
     at = np.repeat(begins - bounds[:-1], counts) + np.arange(int(bounds[-1]))
-    code = np.zeros(len(at), np.uint64)
-    padded = np.concatenate([points, np.zeros(width, np.uint64)])
+    # Codes of 1, 2, 4, ... characters from every place on, then two of them that overlap or touch make the width.
+    value, span = np.concatenate([points + np.uint64(1), np.zeros(width, np.uint64)]), 1
+    while 2 * span <= width:
+        value = value[: len(value) - span] * _ODD + value[span:]
+        value ^= value >> np.uint64(31)
+        span *= 2
+    if span < width:
+        value = value[: len(value) - (width - span)] * _ODD + value[width - span :]
+    value ^= value >> np.uint64(32)
+    value *= np.uint64(0xFF51AFD7ED558CCD)
+    value ^= value >> np.uint64(29)
+    code = value[np.minimum(at, len(value) - 1)]
     short = np.flatnonzero(sizes < width)
-    for k in range(width):
-        code = (code * _ODD) + padded[at + k] + np.uint64(1)
     for i in short:  # the whole line is the shingle
-        value = int(sizes[i])
+        whole = int(sizes[i])
         for c in points[begins[i] : begins[i] + sizes[i]].tolist():
-            value = (value * int(_ODD) ^ c) % (1 << 64)
-        code[bounds[i]] = value
-    return mix64(code), bounds
+            whole = (whole * int(_ODD) ^ c) % (1 << 64)
+        code[bounds[i]] = whole
+    code[bounds[short]] = mix64(code[bounds[short]])
+    return code, bounds
 
 
 def band_keys(lines: list[str], bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
@@ -90,35 +99,36 @@ def _documents(batches: Iterator[pa.RecordBatch], limit: int = 1 << 19):
         yield [(d, (t or "").split("\n")) for d, t in zip(part.column(names.index("doc_id")).to_pylist(), part.column(names.index("text")).to_pylist(), strict=True)]
 
 
-def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for documents in _documents(batches):
-        known: dict[str, int] = {}
-        doc, number, ids = [], [], []
-        for doc_id, lines in documents:
-            for at, line in enumerate(lines):
-                plain = canonical(line)
-                if plain:
-                    if plain not in known:
-                        known[plain] = line_id(plain)
-                    doc.append(doc_id)
-                    number.append(at)
-                    ids.append(known[plain])
-        yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(number, pa.int32()), pa.array(ids, pa.int64())], ["doc_id", "line", "id"])
-
+def _occurrences(bands: int, rows: int):
+    """(doc_id, line, id, keys) of every line that isn't blank; band keys come with a line's first occurrence in the task."""
 
-def _bands(bands: int, rows: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sent: set[int] = set()
         for documents in _documents(batches):
-            plain = dict.fromkeys(p for _, lines in documents for line in lines if (p := canonical(line)))
-            fresh = {p: i for p in plain if (i := line_id(p)) not in sent}
-            if len(sent) > 1_000_000:  # bounds memory; a line sent again does no harm
+            known: dict[str, int] = {}
+            fresh: dict[str, int] = {}
+            doc, number, ids, first = [], [], [], []
+            for doc_id, lines in documents:
+                for at, line in enumerate(lines):
+                    plain = canonical(line)
+                    if not plain:
+                        continue
+                    own = known.get(plain)
+                    if own is None:
+                        own = known[plain] = line_id(plain)
+                        if own not in sent:
+                            fresh[plain] = len(ids)
+                    doc.append(doc_id)
+                    number.append(at)
+                    ids.append(own)
+            if len(sent) > 500_000:  # bounds memory; keys sent again do no harm
                 sent.clear()
-            sent.update(fresh.values())
-            if fresh:
-                keys = band_keys(list(fresh), bands, rows)
-                ids = np.fromiter(fresh.values(), np.int64, len(fresh))
-                yield pa.RecordBatch.from_arrays([pa.array(keys.ravel().view(np.int64)), pa.array(np.repeat(ids, keys.shape[1]))], ["key", "id"])
+            sent.update(known[plain] for plain in fresh)
+            sizes = np.zeros(len(ids), np.int32)
+            sizes[list(fresh.values())] = bands
+            values = band_keys(list(fresh), bands, rows).ravel().view(np.int64) if fresh else np.zeros(0, np.int64)
+            keys = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(values))
+            yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(number, pa.int32()), pa.array(ids, pa.int64()), keys], ["doc_id", "line", "id", "keys"])
 
     return run
 
@@ -161,8 +171,8 @@ def _lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(texts, pa.string())], ["id", "plain"])
 
 
-def bucket_links(ids: list[int], sets: list[set], threshold: float) -> list[tuple[int, int]]:
-    """Verified links that connect what the bucket's similar lines connect; pairs already connected are skipped."""
+def few_links(ids: list[int], sets: list[set], threshold: float) -> list[tuple[int, int]]:
+    """Verified links that connect what a small bucket's similar lines connect; pairs already connected are skipped."""
     groups: list[list[int]] = []
     links = []
     for i in sorted(range(len(ids)), key=lambda i: (len(sets[i]), ids[i])):
@@ -178,7 +188,47 @@ def bucket_links(ids: list[int], sets: list[set], threshold: float) -> list[tupl
     return links
 
 
-def _verify(threshold: float, step: int = 2000):
+def bucket_links(ids: list[int], codes: list[np.ndarray], threshold: float, block: int = 128) -> list[tuple[int, int]]:
+    """Verified links that connect what a large bucket's similar lines connect.
+
+    `codes` are the lines' shingle codes. Shared shingles are counted exactly, a block of lines against
+    another at a time; blocks whose lines are all connected already are skipped.
+    """
+    _, columns = np.unique(np.concatenate(codes), return_inverse=True)
+    owner = np.repeat(np.arange(len(ids)), [len(c) for c in codes])
+    width = int(columns.max()) + 1
+    cells = np.unique(owner * width + columns)
+    owner, columns = cells // width, cells % width
+    size = np.bincount(owner, minlength=len(ids))
+    edges = np.searchsorted(owner, np.arange(0, len(ids) + block, block))
+    root = np.arange(len(ids))
+
+    def table(k: int) -> tuple[np.ndarray, int]:
+        mine = slice(edges[k], edges[k + 1])
+        rows = min(block, len(ids) - k * block)
+        out = np.zeros((rows, width), np.float32)
+        out[owner[mine] - k * block, columns[mine]] = 1
+        return out, rows
+
+    links = []
+    for i in range(len(edges) - 1):
+        left, n = table(i)
+        for j in range(i + 1):
+            here = np.concatenate([root[i * block : i * block + n], root[j * block : (j + 1) * block]])
+            if (here == here[0]).all():
+                continue
+            right, m = (left, n) if i == j else table(j)
+            common = left @ right.T
+            near = common >= threshold * (size[i * block : i * block + n, None] + size[None, j * block : j * block + m] - common) - 1e-4
+            for x, y in zip(*np.nonzero(near), strict=True):
+                a, b = i * block + x, j * block + y
+                if root[a] != root[b]:
+                    links.append((min(ids[a], ids[b]), max(ids[a], ids[b])))
+                    root[root == max(root[a], root[b])] = min(root[a], root[b])
+    return links
+
+
+def _verify(threshold: float, step: int = 2000, small: int = 48):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         buckets: dict[int, list[int]] = {}
         texts: dict[int, str] = {}
@@ -195,7 +245,10 @@ def _verify(threshold: float, step: int = 2000):
             code, bounds = shingle_codes([texts[line] for line in lines])
             parts = {line: code[a:b] for line, a, b in zip(lines, bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)}
             for members in waiting:
-                found.update(bucket_links(members, [set(parts[line].tolist()) for line in members], threshold))
+                if len(members) > small:
+                    found.update(bucket_links(members, [parts[line] for line in members], threshold))
+                else:
+                    found.update(few_links(members, [set(parts[line].tolist()) for line in members], threshold))
 
         for members in buckets.values():
             if len(members) > 1:
@@ -219,9 +272,10 @@ def removed_lines(docs: DataFrame, *, threshold: float = THRESHOLD, bands: int =
     spark = docs.sparkSession
     tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8)
     own = docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).where("doc_id IS NOT NULL")
-    places = written(own.mapInArrow(_occurrences, "doc_id long, line int, id long"), "line-places")
+    placed = written(own.mapInArrow(_occurrences(bands, rows), "doc_id long, line int, id long, keys array<long>"), "line-places")
+    places = placed.select("doc_id", "line", "id")
     firsts = written(places.groupBy("id").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n")), "line-firsts")
-    shared = own.mapInArrow(_bands(bands, rows), "key long, id long").repartition(tasks, "key").mapInArrow(_shared, "key long, id long")
+    shared = placed.select(F.explode("keys").alias("key"), "id").repartition(tasks, "key").mapInArrow(_shared, "key long, id long")
     candidates = written(shared.distinct(), "line-candidates")
     wanted = candidates.select("id").distinct().join(firsts, "id").groupBy(F.col("first.doc_id").alias("at")).agg(F.collect_list(F.struct(F.col("first.line").alias("line"), "id")).alias("wanted"))
     texts = own.join(wanted, F.col("doc_id") == F.col("at")).select("text", "wanted").mapInArrow(_lines_of, "id long, plain string").dropDuplicates(["id"])

@@ -102,3 +102,20 @@ def test_bands_find_pairs_at_the_threshold():
             keys = line_dedup.band_keys([line, edited])
             found += bool((keys[0] == keys[1]).any())
     assert total > 50 and found >= 0.95 * total
+
+
+@settings(max_examples=25, deadline=None)
+@given(st.integers(2, 40), st.integers(0, 2**32 - 1))
+def test_large_and_small_buckets_verify_alike(count, seed):
+    rng = np.random.default_rng(seed)
+    base = [rng.integers(0, 60, 30) for _ in range(4)]
+    codes = []
+    for k in range(count):
+        own = base[k % 4].copy()
+        own[: int(rng.integers(0, 5))] = rng.integers(100, 200)
+        codes.append(own.astype(np.uint64))
+    ids = list(range(count))
+    sets = [set(c.tolist()) for c in codes]
+    near = [(a, b) for a in ids for b in range(a) if line_dedup.jaccard(sets[a], sets[b]) >= 0.8]
+    expected = find_all(count, near)
+    assert find_all(count, line_dedup.bucket_links(ids, codes, 0.8, 8)) == expected == find_all(count, line_dedup.few_links(ids, sets, 0.8))
