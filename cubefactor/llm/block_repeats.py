@@ -136,7 +136,7 @@ def word_repeats(docs: DataFrame, *, window: int = WINDOW, block: int = BLOCK) -
     wanting = marks.where(F.col("kind") == WANTED).select(F.col("doc_id").alias("_of")).distinct()
     asked = marks.join(wanting, F.col("doc_id") == F.col("_of"), "left_semi")
     around = with_marks(named, asked, [WANTED, COVER], "inner").mapInArrow(_extend(window, block, buckets), "bucket int, packed binary")
-    seen = written(around.repartition(buckets, "bucket").mapInArrow(_first_documents(window), MARK), "word-spans")
+    seen = written(around.repartitionById(buckets, "bucket").mapInArrow(_first_documents(window), MARK), "word-spans")
     every = marks.where(F.col("kind") == COVER).unionByName(seen)
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

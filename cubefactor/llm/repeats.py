@@ -235,7 +235,7 @@ def shared_marks(docs: DataFrame, find: Callable[[pa.RecordBatch], Anchors], *,
         release_memory()
 
     packed = docs.mapInArrow(gather, "bucket int, doc_id long, kind int, packed binary")
-    return written(packed.repartition(buckets, "bucket").mapInArrow(judge, MARK), name)
+    return written(packed.repartitionById(buckets, "bucket").mapInArrow(judge, MARK), name)
 
 
 def read_wanted(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:

@@ -239,7 +239,7 @@ def repeat_marks(docs: DataFrame, *, window: int = WINDOW, gram: int = GRAM) ->
     marks = shared_marks(own, lambda part: byte_anchors(part, window, gram), within=True, name="byte-marks")
     buckets = buckets_of(docs)
     around = with_marks(own, marks, [WANTED], "inner").mapInArrow(_surroundings(window, gram, buckets), "bucket int, packed binary, raw binary")
-    seen = written(around.repartition(buckets, "bucket").mapInArrow(_resolve(window), MARK), "byte-spans")
+    seen = written(around.repartitionById(buckets, "bucket").mapInArrow(_resolve(window), MARK), "byte-spans")
     return marks.where(F.col("kind") == COVER).unionByName(seen)
 
 
