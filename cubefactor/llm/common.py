@@ -54,11 +54,14 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{fallback}"
 
 
-def written(frame: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage through a Parquet table in the shared folder; survives the loss of executors."""
+def written(frame: DataFrame, name: str, codec: str = "snappy") -> DataFrame:
+    """Cut the lineage through a Parquet table in the shared folder; survives the loss of executors.
+
+    `zstd` suits large texts; its native buffers outlive many small files in the executors' memory.
+    """
     spark = frame.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    frame.write.option("compression", "zstd").parquet(path)
+    frame.write.option("compression", codec).parquet(path)
     return spark.read.schema(frame.schema).parquet(path)
 
 

@@ -56,13 +56,14 @@ def _shrink(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["lo", "hi"])
 
 
-def connected_components(edges: DataFrame, name: str = "components") -> DataFrame:
+def connected_components(edges: DataFrame, name: str = "components", shrink: bool = True) -> DataFrame:
     """(node, root) for every node of the edges (columns lo, hi of long) but the roots themselves.
 
-    Self-links and repeated edges do no harm; nulls are dropped; without edges the result is empty.
+    Self-links and repeated edges do no harm; nulls are dropped; without edges the result is empty. Edges whose
+    partitions are forests already need no shrinking.
     """
     clean = edges.select(F.least("lo", "hi").cast("long").alias("lo"), F.greatest("lo", "hi").cast("long").alias("hi")).where("lo < hi")
-    current = written(clean.mapInArrow(_shrink, "lo long, hi long"), name)
+    current = written(clean.mapInArrow(_shrink, "lo long, hi long") if shrink else clean, name)
     mark = lambda e: e.agg(F.count("*"), F.sum(F.xxhash64("lo", "hi").cast("decimal(38,0)"))).first()
     state = mark(current)
     while state[0]:

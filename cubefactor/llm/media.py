@@ -165,7 +165,7 @@ def media_table(docs: DataFrame, container: str = "pgm") -> DataFrame:
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.diff(offsets)), pa.array(media, pa.binary())], ["doc_id", "n_bytes", "media"])
 
     drawn = docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(render, "doc_id long, n_bytes long, media binary")
-    return written(drawn, "media")
+    return written(drawn, "media", "zstd")
 
 
 def media_features(media: DataFrame) -> DataFrame:

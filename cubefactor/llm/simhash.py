@@ -191,7 +191,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: int =
     """doc_id, fingerprint in hex, and component_id: the smallest doc_id reachable over links."""
     marked = written(fingerprint(docs, shingle, seed), "fingerprints")
     distinct = written(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
-    roots = connected_components(fingerprint_links(distinct, threshold), "fingerprint-components")
+    roots = connected_components(fingerprint_links(distinct, threshold), "fingerprint-components", shrink=False)
     members = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     least = members.groupBy("root").agg(F.min("least").alias("component_id"))
     found = written(members.join(least, "root").select(F.col("fp").alias("own"), "component_id"), "fingerprint-groups")
