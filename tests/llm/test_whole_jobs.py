@@ -1,6 +1,7 @@
 """Cases in which an operator once did less than the whole job."""
 
-from cubefactor.llm import line_dedup
+import corpus_pipeline
+from cubefactor.llm import document_dedup, line_dedup
 
 LINE = "the old miller carried seven heavy sacks of grain across the wooden bridge before the rain came"
 
@@ -10,3 +11,42 @@ def test_short_lines_that_differ_in_a_word_are_linked(docs_of):
     assert len(LINE) == 95
     got = {r["doc_id"]: r["removed_lines"] for r in line_dedup.line_decisions(docs_of([(1, LINE), (2, changed)])).collect()}
     assert got == {1: [], 2: [0]}
+
+
+def shingle_set(text):
+    words = (text or "").lower().split()
+    return {tuple(words[k : k + 5]) for k in range(max(len(words) - 4, 1))}
+
+
+def similar(a, b):
+    return min(len(a), len(b)) >= 0.8 * max(len(a), len(b)) and len(a & b) >= 0.8 * len(a | b)
+
+
+def test_pipeline_drops_near_copies_at_the_stated_similarity(spark, docs_of):
+    words = [f"w{k}" for k in range(200)]
+    near, far = list(words), list(words)
+    for k in (20, 60, 100):
+        near[k] = "x"
+    for k in range(10, 190, 20):
+        far[k] = "x"
+    rows = [(1, " ".join(words)), (2, " ".join(near)), (3, " ".join(far)), (None, " ".join(words)), (4, None), (5, " ")]
+    assert similar(shingle_set(rows[0][1]), shingle_set(rows[1][1])) and not similar(shingle_set(rows[0][1]), shingle_set(rows[2][1]))
+    kept = corpus_pipeline.near_duplicates(spark, docs_of(rows), "")
+    assert sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 1, 3, 4] and kept.columns == docs_of([]).columns
+
+
+def test_groups_equal_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    sets = {r["doc_id"]: shingle_set(r["text"]) for r in docs.collect()}
+    ids = sorted(sets)
+    root = {i: i for i in ids}
+    pairs = 0
+    for n, a in enumerate(ids):
+        for b in ids[n + 1 :]:
+            if similar(sets[a], sets[b]):
+                pairs += 1
+                old, new = max(root[a], root[b]), min(root[a], root[b])
+                root = {i: new if r == old else r for i, r in root.items()}
+    assert pairs > 20
+    kept = document_dedup.keep_one(docs)
+    assert sorted(r["doc_id"] for r in kept.collect()) == sorted(set(root.values()))
