@@ -5,7 +5,8 @@ into typed placeholders, other words into lower case without outer signs. Window
 words with enough ordinary words are joined by hash. A document holds an item where the windows found cover
 `containment` of the item's windows and its placeholders are filled consistently: one filling of the item
 always meets the same filling in the document, so a question asked anew with other numbers or names is
-caught, and a chance meeting of common templates is not.
+caught, and a chance meeting of common templates is not. Where the fillings of all hits together disagree,
+each place of the document is tested by itself, and the figures are those of its best occurrence.
 
 Benchmark windows are matched in blocks of at most `block_windows`, each sent to all tasks, so what is sent
 has a fixed bound whatever the benchmark's size; all documents are read for every block.
@@ -153,6 +154,38 @@ def make_blocks(items: list[tuple], *, window: int = WINDOW, block_windows: int
     return blocks
 
 
+def slot_counts(hits: list[tuple[int, int]], item: int, words: Canonical, block: Block, window: int) -> tuple[int, int, int]:
+    """Slots that the hits (word of the document, word of the item) cover, those filled consistently, those changed."""
+    fillings: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
+    last = int(block.words.bounds[item + 1])
+    for a, b in {(a + k, b + k) for a, b in hits for k in range(min(window, last - b))}:
+        if block.words.kind[b] != ORDINARY:
+            fillings[int(block.words.filling[b])][int(words.filling[a])] += 1
+    slots = sum(sum(v.values()) for v in fillings.values())
+    steady = sum(max(v.values()) for v in fillings.values())
+    return slots, steady, sum(n for own, v in fillings.items() for other, n in v.items() if other != own)
+
+
+def occurrences(hits: list[tuple[int, int]], least: float, length: int, window: int) -> Iterator[list[tuple[int, int]]]:
+    """Groups of hits that lie in one place: whose offsets differ by nothing, a window, half an item or an item at most."""
+    hits = sorted(hits, key=lambda h: (h[0] - h[1], h))
+    offsets = [a - b for a, b in hits]
+    for slack in sorted({0, min(window, length), length // 2, length}):
+        stop, held = 0, defaultdict(int)
+        for start in range(len(hits)):
+            grown = False
+            while stop < len(hits) and offsets[stop] <= offsets[start] + slack:
+                held[hits[stop][1]] += 1
+                stop += 1
+                grown = True
+            if grown and len(held) >= least:
+                yield hits[start:stop]
+            b = hits[start][1]
+            held[b] -= 1
+            if not held[b]:
+                del held[b]
+
+
 def find_items(texts: pa.Array, block: Block, *, window: int = WINDOW, containment: float = CONTAINMENT, consistency: float = CONSISTENCY, seen: dict | None = None) -> list[tuple]:
     """(text number, item number, windows found, windows of the item, slots, consistent slots, changed slots)."""
     words = canonical_words(texts, seen)
@@ -171,16 +204,18 @@ def find_items(texts: pa.Array, block: Block, *, window: int = WINDOW, containme
         found = len({b for _, b in hits})
         if found < containment * total:
             continue
-        fillings: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
-        last = int(block.words.bounds[item + 1])
-        for a, b in {(a + k, b + k) for a, b in hits for k in range(min(window, last - b))}:
-            if block.words.kind[b] != ORDINARY:
-                fillings[int(block.words.filling[b])][int(words.filling[a])] += 1
-        slots = sum(sum(v.values()) for v in fillings.values())
-        steady = sum(max(v.values()) for v in fillings.values())
-        changed = sum(n for own, v in fillings.items() for other, n in v.items() if other != own)
-        if steady >= consistency * slots:
-            out.append((number, item, found, total, slots, steady, changed))
+        slots, steady, changed = slot_counts(hits, item, words, block, window)
+        if steady < consistency * slots:  # perhaps several occurrences whose fillings differ
+            best = None
+            for own in occurrences(hits, containment * total, int(np.diff(block.words.bounds)[item]), window):
+                slots, steady, changed = slot_counts(own, item, words, block, window)
+                found = len({b for _, b in own})
+                if steady >= consistency * slots and (best is None or (found, -changed) > (best[0], -best[3])):
+                    best = (found, slots, steady, changed)
+            if best is None:
+                continue
+            found, slots, steady, changed = best
+        out.append((number, item, found, total, slots, steady, changed))
     return out
 
 

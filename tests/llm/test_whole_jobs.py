@@ -1,7 +1,7 @@
 """Cases in which an operator once did less than the whole job."""
 
 import corpus_pipeline
-from cubefactor.llm import document_dedup, line_dedup
+from cubefactor.llm import decontaminate, document_dedup, line_dedup
 
 LINE = "the old miller carried seven heavy sacks of grain across the wooden bridge before the rain came"
 
@@ -50,3 +50,19 @@ def test_groups_equal_brute_force(spark):
     assert pairs > 20
     kept = document_dedup.keep_one(docs)
     assert sorted(r["doc_id"] for r in kept.collect()) == sorted(set(root.values()))
+
+
+def found_in(docs_of, spark, texts, items):
+    benchmark = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    return {(r["doc_id"], r["item_id"]): r for r in decontaminate.contamination(docs_of(list(enumerate(texts))), benchmark).collect()}
+
+
+QUESTION = "At noon Anna buys 12 apples and 7 pears at the old market near the river. How many pieces of fruit does Anna carry home?"
+
+
+def test_occurrences_with_different_fillings_are_found(docs_of, spark):
+    asked = [QUESTION.replace("12", str(20 + k)).replace("7", str(40 + k)).replace("Anna", name) for k, name in enumerate(["Lena", "Olga", "Rita"])]
+    chance = " ".join(f"he buys {k} apples and {k + 1} pears at the shop." for k in range(9))
+    got = found_in(docs_of, spark, [f"{QUESTION} {asked[0]}", " so ".join(asked), f"{chance} {QUESTION} {chance}", chance], [QUESTION])
+    assert set(got) == {(0, 0), (1, 0), (2, 0)}
+    assert got[0, 0]["changed_slots"] == got[2, 0]["changed_slots"] == 0 < got[1, 0]["changed_slots"]
