@@ -1,18 +1,20 @@
 """Benchmark decontamination by template canonicalisation.
 
 Texts and benchmark items become sequences of canonical words: numbers, names and units of measure turn
-into typed placeholders, other words into lower case without outer signs. Windows of `window` canonical
-words with enough ordinary words are joined by hash. A document holds an item where the windows found cover
+into typed placeholders, other words into lower case without outer signs. A word in upper
+case that opens a sentence may be a name or not and is read in both ways. Windows of `window` canonical
+words with enough ordinary words (openers count as such) are joined by hash. A document holds an item where the windows found cover
 `containment` of the item's windows and its placeholders are filled consistently: one filling of the item
 always meets the same filling in the document, so a question asked anew with other numbers or names is
 caught, and a chance meeting of common templates is not. Where the fillings of all hits together disagree,
 each place of the document is tested by itself, and the figures are those of its best occurrence.
 
-Benchmark windows are matched in blocks of at most `block_windows`, each sent to all tasks, so what is sent
+Benchmark windows are matched in blocks of at most `block_windows` (readings of openers aside), each sent to all tasks, so what is sent
 has a fixed bound whatever the benchmark's size; all documents are read for every block.
 
 Defined cases: null or empty texts and items match nothing; an item of fewer words than a window is one
-window, if it has an ordinary word; items without a usable window match nothing; repeated items and
+window; items without a usable window, of numbers, names and units mostly, are matched by windows of their
+own words, so only where they are copied; repeated items and
 documents are reported for each row; a null doc_id is reported as null, a null item_id too; empty tables
 give no rows; extra columns are ignored or, in `drop_contaminated`, kept.
 """
@@ -63,6 +65,7 @@ class Canonical:
     code: np.ndarray  # of the canonical word or its placeholder
     kind: np.ndarray
     filling: np.ndarray  # code of the word itself
+    opener: np.ndarray  # whether it is ordinary but opens a sentence in upper case, so that it may be a name
     bounds: np.ndarray
 
 
@@ -99,26 +102,57 @@ def canonical_words(texts: pa.Array, seen: dict[str, tuple] | None = None) -> Ca
     kind[nameable[index] & ~opens] = NAME
     filling = own[index]
     code = np.where(kind == ORDINARY, filling, _PLACEHOLDER[kind])
-    return Canonical(code, kind, filling, np.searchsorted(owner, np.arange(len(bounds))))
+    return Canonical(code, kind, filling, nameable[index] & opens, np.searchsorted(owner, np.arange(len(bounds))))
 
 
-def template_windows(words: Canonical, window: int = WINDOW, least: int = LEAST_ORDINARY) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hash, first word and text number of every usable window; a text shorter than a window is one window."""
-    n = len(words.code)
+def _places(words: Canonical, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First word, end of the text and text number of every window; a text shorter than a window is one window."""
     sizes = np.diff(words.bounds)
     owner = np.repeat(np.arange(len(sizes)), sizes)
     last = words.bounds[1:][owner]
-    at = np.flatnonzero((np.arange(n) + window <= last) | ((sizes < window)[owner] & (np.arange(n) == words.bounds[:-1][owner])))
-    code = np.concatenate([words.code, np.zeros(window, np.uint64)])
-    ordinary = np.concatenate([words.kind == ORDINARY, np.zeros(window, bool)])
-    value, count = np.zeros(len(at), np.uint64), np.zeros(len(at), np.int64)
+    place = np.arange(len(words.code))
+    at = np.flatnonzero((place + window <= last) | ((sizes < window)[owner] & (place == words.bounds[:-1][owner])))
+    return at, last[at], owner[at]
+
+
+def _hashed(code: np.ndarray, at: np.ndarray, last: np.ndarray, window: int, names: int = 0) -> np.ndarray:
+    """Hashes of the windows' codes (padded by a window); the words at the bits of `names` are read as names."""
+    value = np.zeros(len(at), np.uint64)
     for k in range(window):
-        inside = at + k < last[at]
-        value = (value ^ np.where(inside, code[at + k], np.uint64(k + 1))) * np.uint64(0x9E3779B97F4A7C15)
+        read = _PLACEHOLDER[NAME] if names >> k & 1 else code[at + k]
+        value = (value ^ np.where(at + k < last, read, np.uint64(k + 1))) * np.uint64(0x9E3779B97F4A7C15)
         value ^= value >> np.uint64(32)
-        count += inside & ordinary[at + k]
-    usable = count >= np.minimum(least, np.maximum(sizes[owner[at]] - 1, 1))
-    return mix64(value[usable]), at[usable], owner[at[usable]]
+    return mix64(value)
+
+
+def template_windows(words: Canonical, window: int = WINDOW, least: int = LEAST_ORDINARY) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash, first word and text number of every usable window; a text shorter than a window is one window.
+
+    A window over sentence openers has a hash for each choice of openers that are read as names. Whether it
+    is usable is judged with openers as ordinary words.
+    """
+    at, last, owner = _places(words, window)
+    if least:
+        ordinary = np.concatenate([words.kind == ORDINARY, np.zeros(window, bool)])
+        count = sum(((at + k < last) & ordinary[at + k] for k in range(window)), np.zeros(len(at), np.int64))
+        usable = count >= np.minimum(least, np.maximum(np.diff(words.bounds)[owner] - 1, 1))
+        at, last, owner = at[usable], last[usable], owner[usable]
+    code = np.concatenate([words.code, np.zeros(window, np.uint64)])
+    opener = np.concatenate([words.opener, np.zeros(window, bool)])
+    openers = sum(((at + k < last) & opener[at + k]).astype(np.int64) << k for k in range(window)) if len(at) else np.zeros(0, np.int64)
+    parts = [(_hashed(code, at, last, window), at, owner)]
+    some = np.flatnonzero(openers)
+    for names in range(1, 1 << window):
+        mine = some[openers[some] & names == names]
+        if len(mine):
+            parts.append((_hashed(code, at[mine], last[mine], window, names), at[mine], owner[mine]))
+    return tuple(np.concatenate(c) for c in zip(*parts, strict=True))
+
+
+def exact_windows(words: Canonical, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash, first word and text number of every window of the words themselves."""
+    at, last, owner = _places(words, window)
+    return mix64(_hashed(np.concatenate([words.filling, np.zeros(window, np.uint64)]), at, last, window) ^ _PLACEHOLDER[ORDINARY]), at, owner
 
 
 @dataclass
@@ -132,6 +166,7 @@ class Block:
     item: np.ndarray
     totals: np.ndarray
     filter: np.ndarray
+    exact: bool  # whether some items are matched by exact windows, as they have no usable one
 
 
 def make_blocks(items: list[tuple], *, window: int = WINDOW, block_windows: int = 1_000_000) -> list[Block]:
@@ -146,10 +181,17 @@ def make_blocks(items: list[tuple], *, window: int = WINDOW, block_windows: int
         part = items[start:stop]
         words = canonical_words(pa.array([t or "" for _, t in part], pa.string()))
         hashes, at, item = template_windows(words, window)
+        bare = np.ones(len(part), bool)
+        bare[item] = False
+        plain = exact_windows(words, window)
+        mine = bare[plain[2]]
+        hashes, at, item = (np.concatenate([c, e[mine]]) for c, e in zip((hashes, at, item), plain, strict=True))
+        owner = np.repeat(np.arange(len(part)), np.diff(words.bounds))
+        totals = np.bincount(owner[np.unique(at)], minlength=len(part))
         order = np.argsort(hashes, kind="stable")
         seen = np.zeros(1 << 22, bool)
         seen[(hashes >> np.uint64(42)).astype(np.int64)] = True
-        blocks.append(Block([i for i, _ in part], words, hashes[order], at[order], item[order], np.bincount(item, minlength=len(part)), seen))
+        blocks.append(Block([i for i, _ in part], words, hashes[order], at[order], item[order], totals, seen, bool(mine.any())))
         start = stop
     return blocks
 
@@ -157,10 +199,17 @@ def make_blocks(items: list[tuple], *, window: int = WINDOW, block_windows: int
 def slot_counts(hits: list[tuple[int, int]], item: int, words: Canonical, block: Block, window: int) -> tuple[int, int, int]:
     """Slots that the hits (word of the document, word of the item) cover, those filled consistently, those changed."""
     fillings: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
+    opening: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
     last = int(block.words.bounds[item + 1])
     for a, b in {(a + k, b + k) for a, b in hits for k in range(min(window, last - b))}:
         if block.words.kind[b] != ORDINARY:
             fillings[int(block.words.filling[b])][int(words.filling[a])] += 1
+        elif block.words.opener[b] or words.opener[a]:
+            opening[int(block.words.filling[b])][int(words.filling[a])] += 1
+    for own, v in opening.items():
+        if own in fillings or len(v) > 1 or own not in v:  # a name, as it was changed or is one elsewhere in the item
+            for other, n in v.items():
+                fillings[own][other] += n
     slots = sum(sum(v.values()) for v in fillings.values())
     steady = sum(max(v.values()) for v in fillings.values())
     return slots, steady, sum(n for own, v in fillings.items() for other, n in v.items() if other != own)
@@ -189,7 +238,9 @@ def occurrences(hits: list[tuple[int, int]], least: float, length: int, window:
 def find_items(texts: pa.Array, block: Block, *, window: int = WINDOW, containment: float = CONTAINMENT, consistency: float = CONSISTENCY, seen: dict | None = None) -> list[tuple]:
     """(text number, item number, windows found, windows of the item, slots, consistent slots, changed slots)."""
     words = canonical_words(texts, seen)
-    hashes, at, text = template_windows(words, window)
+    hashes, at, text = template_windows(words, window, 0)  # the items' windows decide which are usable
+    if block.exact:
+        hashes, at, text = (np.concatenate(c) for c in zip((hashes, at, text), exact_windows(words, window), strict=True))
     likely = np.flatnonzero(block.filter[(hashes >> np.uint64(42)).astype(np.int64)])
     left = np.searchsorted(block.hashes, hashes[likely], "left")
     count = np.searchsorted(block.hashes, hashes[likely], "right") - left

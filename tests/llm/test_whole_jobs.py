@@ -66,3 +66,17 @@ def test_occurrences_with_different_fillings_are_found(docs_of, spark):
     got = found_in(docs_of, spark, [f"{QUESTION} {asked[0]}", " so ".join(asked), f"{chance} {QUESTION} {chance}", chance], [QUESTION])
     assert set(got) == {(0, 0), (1, 0), (2, 0)}
     assert got[0, 0]["changed_slots"] == got[2, 0]["changed_slots"] == 0 < got[1, 0]["changed_slots"]
+
+
+def test_names_that_open_sentences_may_change(docs_of, spark):
+    item = "Tom has 3 apples. Ann has 5 pears. Joe has 2 figs."
+    texts = [item, "so " + item.replace("Tom", "Eva").replace("Ann", "Ida").replace("Joe", "Leo").replace("3", "8"), "some Eva has 8 apples. They run away."]
+    got = found_in(docs_of, spark, texts, [item])
+    assert set(got) == {(0, 0), (1, 0)}
+    assert got[0, 0]["changed_slots"] == 0 and got[1, 0]["changed_slots"] == 4
+
+
+def test_items_without_ordinary_words_are_found_where_copied(docs_of, spark):
+    item = "12 kg 7 lb 30 cm 4 ft 9 min"
+    got = found_in(docs_of, spark, [f"it says {item} here and goes on", "it says 1 kg 2 lb 3 cm 5 ft 6 min here", "12 kg"], [item, QUESTION])
+    assert set(got) == {(0, 0)}
