@@ -44,13 +44,15 @@ class FactorModel:
         return joined.withColumn("prediction", value).drop(*names)
 
     def recommend(self, users: DataFrame, mode: int, k: int, fixed: dict[int, int], seen: DataFrame | None = None) -> DataFrame:
-        """The k best indices of `mode` for each row of `users` (column i1), other modes fixed; a top-k report."""
-        grid = users.select("i1").crossJoin(F.broadcast(self.slices()[mode - 1].select(F.col("idx").alias(f"i{mode}"))))
+        """The k best indices of `mode` for each row of `users` (i1, and other modes neither fixed nor `mode`); a top-k report."""
+        keys = [f"i{n}" for n in range(1, len(self.dims) + 1) if n != mode and n not in fixed and f"i{n}" in users.columns]
+        grid = users.select(*keys).crossJoin(F.broadcast(self.slices()[mode - 1].select(F.col("idx").alias(f"i{mode}"))))
         for n, idx in fixed.items():
             grid = grid.withColumn(f"i{n}", F.lit(idx).cast("long"))
         if seen is not None:
-            grid = grid.join(seen.select("i1", f"i{mode}").distinct(), ["i1", f"i{mode}"], "left_anti")
-        ranked = self.predict(grid).withColumn("rank", F.row_number().over(Window.partitionBy("i1").orderBy(F.desc("prediction"), f"i{mode}")))
+            known = [*keys, f"i{mode}"]
+            grid = grid.join(seen.select(*known).distinct(), known, "left_anti")
+        ranked = self.predict(grid).withColumn("rank", F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("prediction"), f"i{mode}")))
         return ranked.where(F.col("rank") <= k)
 
     def similar(self, mode: int, idx: int, k: int) -> DataFrame:

@@ -132,11 +132,11 @@ QUERIES["stratified_sgd_run"] = lambda spark, sf: solvers()["stratified_sgd"].fi
 
 
 def model_use(spark, sf):
-    """The three best hours for each of ten users and one event type, without hours already seen."""
+    """The three best hours for each user and event type, without hours already seen."""
     t = planted_events(spark, sf)
     model = solvers(3, 1)["full_als"].fit(t)
-    users = t.cells.select("i1").distinct().where(F.col("i1") < 10)
-    return model.recommend(users, 3, 3, {2: 0}, t.cells.where("i2 = 0")).select("i1", "i3", "rank", F.round("prediction", 4).alias("prediction"))
+    users = t.cells.select("i1").distinct().crossJoin(t.cells.select("i2").distinct())
+    return model.recommend(users, 3, 3, {}, t.cells).select("i1", "i2", "i3", "rank", F.round("prediction", 4).alias("prediction"))
 
 
 QUERIES["recommend_hours"] = model_use
