@@ -8,7 +8,7 @@ the stated total length, and their HTTP body is freed of its chunked transfer fr
 
 Defined cases: a null payload is empty; a null page_id is written and read back as null; equal payloads
 have one response record, of the largest page_id (null counts as smallest), the others are revisits;
-repeated page_ids are separate records; payloads of any length are cut into segments of `segment_bytes`;
+repeated page_ids and wholly repeated rows are separate records; payloads of any length are cut into segments of `segment_bytes`;
 a missing, repeated or misnumbered segment or a wrong total length makes `complete` false and the record is
 listed with null payload; an empty table gives no rows; extra columns are ignored.
 """
@@ -21,10 +21,10 @@ import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import chunks, shared_dir, ship_package, text_buffer
+from .common import chunks, shared_dir, ship_package, text_buffer, written
 
 CRLF = b"\r\n"
 RECORD_END = "\r\n\r\n"
@@ -220,15 +220,22 @@ def assign_responses(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     """Which rows are responses and which revisit one: the largest page_id of each payload of `least_bytes` or more keeps it."""
     own = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
     own = own.withColumn("sha", F.sha1(F.col("html").cast("binary")))
-    # One row per payload and task is shuffled; the largest row of a payload is its response.
-    rank = F.struct(F.col("page_id"), F.xxhash64("url").alias("tie"))
-    keepers = own.groupBy("sha").agg(F.max(rank).alias("keeper"))
-    marked = own.withColumn("rank", rank).join(keepers, "sha")
+    own = own.withColumn("tie", F.xxhash64("url"))
+    # Only these small rows are shuffled to find the largest row of a payload, its response, and repeated rows.
+    counted = written(own.groupBy("sha", "page_id", "tie").agg(F.count("*").alias("n")), "page-rows")
+    keepers = counted.groupBy("sha").agg(F.max(F.struct("page_id", "tie")).alias("keeper"), F.max("n").alias("most"))
+    marked = own.join(keepers.where("most = 1"), "sha").withColumn("number", F.lit(1))
+    if not counted.where("n > 1").isEmpty():
+        # Repeated rows are alike in all columns, so that any order numbers them alike.
+        again = own.join(keepers.where("most > 1"), "sha")
+        marked = marked.unionByName(again.withColumn("number", F.row_number().over(Window.partitionBy("sha", "page_id", "tie").orderBy("url"))))
     big = F.octet_length(F.col("html").cast("binary")) >= least_bytes
+    first = F.struct("page_id", "tie").eqNullSafe(F.col("keeper")) & (F.col("number") == 1)
+    repeat = F.when(F.col("number") > 1, F.concat(F.lit("repeat-"), F.col("number").cast("string")))
     return marked.select(
         "page_id", "url", "html", payload_digest().alias("digest"), F.col("keeper.page_id").alias("response_id"),
-        (big & ~F.col("rank").eqNullSafe(F.col("keeper"))).alias("is_revisit"),
-        F.concat_ws("/", F.coalesce(F.col("page_id").cast("string"), F.lit("none")), F.xxhash64("url").cast("string"), F.col("sha")).alias("key"),
+        (big & ~first).alias("is_revisit"),
+        F.concat_ws("/", F.coalesce(F.col("page_id").cast("string"), F.lit("none")), F.col("tie").cast("string"), F.col("sha"), repeat).alias("key"),
     )
 
 

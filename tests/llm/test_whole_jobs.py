@@ -1,7 +1,7 @@
 """Cases in which an operator once did less than the whole job."""
 
 import corpus_pipeline
-from cubefactor.llm import decontaminate, document_dedup, line_dedup
+from cubefactor.llm import decontaminate, document_dedup, line_dedup, warc
 
 LINE = "the old miller carried seven heavy sacks of grain across the wooden bridge before the rain came"
 
@@ -80,3 +80,15 @@ def test_items_without_ordinary_words_are_found_where_copied(docs_of, spark):
     item = "12 kg 7 lb 30 cm 4 ft 9 min"
     got = found_in(docs_of, spark, [f"it says {item} here and goes on", "it says 1 kg 2 lb 3 cm 5 ft 6 min here", "12 kg"], [item, QUESTION])
     assert set(got) == {(0, 0)}
+
+
+def test_repeated_pages_stay_separate_records(spark):
+    long = "x" * 9000
+    rows = [(1, "http://a/1", long), (1, "http://a/1", long), (1, "http://a/1", long), (2, "http://a/2", "y"), (None, "u", "z" * 5000), (None, "u", "z" * 5000)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for least_bytes, responses in ((0, 3), (1 << 20, 6)):
+        got = warc.archive_round_trip(pages, segment_bytes=1000, least_bytes=least_bytes).collect()
+        assert sorted((r["page_id"] or 0, r["payload_bytes"]) for r in got) == sorted((i or 0, len(h)) for i, _, h in rows)
+        assert all(r["complete"] for r in got) and sum(r["record_type"] == "response" for r in got) == responses
+    keys = [r["key"] for r in warc.assign_responses(pages).collect()]
+    assert len(set(keys)) == len(rows)
