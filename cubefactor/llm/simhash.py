@@ -29,8 +29,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, release_memory, text_buffer, text_or_empty, unused, written
+from .common import chunks, release_memory, text_buffer, text_or_empty, written
 from .components import connected_components, forest
+from .document_dedup import keep_least, row_hash
 
 SHINGLE, THRESHOLD, SEED = 4, 4, 42
 
@@ -199,8 +200,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: int =
 
 
 def keep_first(docs: DataFrame, **options) -> DataFrame:
-    """The rows of `docs` whose doc_id is the smallest of their group; rows without doc_id stay."""
-    groups = near_duplicates(docs.where("doc_id IS NOT NULL"), **options)
-    name = unused(docs, "_gone")
-    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias(name)).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col(name), "left_anti")
+    """One row of each group: of the smallest doc_id, and of rows that share it the one of the smallest hash; rows without doc_id stay."""
+    own = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), row_hash(docs).alias("tie"), "text")
+    groups = near_duplicates(own.select(F.col("tie").alias("doc_id"), "text"), **options).select(F.col("doc_id").alias("of"), F.col("component_id").alias("grp")).distinct()
+    return keep_least(docs, own.join(groups, F.col("tie") == F.col("of")).select("doc_id", "tie", "grp"))

@@ -1,7 +1,8 @@
 """Cases in which an operator once did less than the whole job."""
 
 import corpus_pipeline
-from cubefactor.llm import decontaminate, document_dedup, line_dedup, warc
+import pytest
+from cubefactor.llm import decontaminate, document_dedup, line_dedup, simhash, warc
 
 LINE = "the old miller carried seven heavy sacks of grain across the wooden bridge before the rain came"
 
@@ -92,3 +93,11 @@ def test_repeated_pages_stay_separate_records(spark):
         assert all(r["complete"] for r in got) and sum(r["record_type"] == "response" for r in got) == responses
     keys = [r["key"] for r in warc.assign_responses(pages).collect()]
     assert len(set(keys)) == len(rows)
+
+
+@pytest.mark.parametrize("keep", [simhash.keep_first, document_dedup.keep_one])
+def test_one_row_of_each_group_stays(docs_of, keep):
+    text, other = " ".join(f"w{k}" for k in range(60)), " ".join(f"v{k}" for k in range(60))
+    rows = [(1, text), (1, text), (1, text.upper()), (2, text), (3, other), (3, other), (2, other + " x"), (None, text), (None, text)]
+    kept = keep(docs_of(rows)).collect()
+    assert sorted((r["doc_id"] or 0) for r in kept) == [0, 0, 1, 2] and {r["text"] for r in kept if r["doc_id"] == 2} == {other + " x"}
