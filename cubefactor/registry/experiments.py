@@ -84,9 +84,9 @@ def _scaled(spark, sf, **factor):
 
 
 QUERIES["scale_dimension"] = lambda spark, sf: _scaled(spark, sf, modes=(2, 3, 4, 5))
-QUERIES["scale_observations"] = lambda spark, sf: _scaled(spark, sf, cells=(3000, 10_000, 30_000))
-QUERIES["scale_length"] = lambda spark, sf: _scaled(spark, sf, length=(300, 1000, 3000))
-QUERIES["scale_rank"] = lambda spark, sf: _scaled(spark, sf, rank=(2, 4, 6))
+QUERIES["scale_observations"] = lambda spark, sf: _scaled(spark, sf, cells=(3000, 10_000, 30_000, 100_000))
+QUERIES["scale_length"] = lambda spark, sf: _scaled(spark, sf, length=(300, 1000, 3000, 10_000))
+QUERIES["scale_rank"] = lambda spark, sf: _scaled(spark, sf, rank=(2, 3, 4, 6, 10))
 
 
 def scale_overall(spark, sf):
