@@ -1,47 +1,76 @@
 """Fuzzy line dedup by MinHash: one line stays of every component of similar lines.
 
-Lines are compared by their character shingles. Each batch hashes its distinct lines once: signatures of
-`bands * rows` minima, cut into bands; a band's hash and the line's identifier are shuffled. Lines that share
-a band are candidates (at the default bands a pair at the threshold is found with probability over 0.99).
-Their texts are fetched, their exact Jaccard similarity is checked, and union-find over the verified links
-gives components: within each bucket first, then across the cluster by alternating stars. Of a component
-the line of the smallest (doc_id, line number) stays. Equal lines have one identifier from the start.
-
-A bucket's lines are distinct lines, at most one row per line and batch, so a line that a third of all
-documents share costs a row per batch; the join that applies decisions is split where it is skewed.
+Lines are compared by their character shingles. A task hashes its distinct lines once: signatures of
+`bands * rows` minima, cut into bands (at the default bands a pair at the threshold shares one with
+probability 0.998). Band keys with line identifiers, and the first occurrence of each line, go to buckets in
+one shuffle of packed arrays; later occurrences of a line are settled on the way, so a line that a third of
+all documents share costs one record for each part of a task. Lines that share a band are candidates: their
+texts are fetched through a bitmap of fixed size, their exact Jaccard similarity is checked, and union-find
+over the verified links gives components: within a bucket first, then across the cluster by alternating
+stars. Of a component the line of the smallest (doc_id, line number) stays.
+
+Bands that the same lines share are verified once. A band that more than `BUCKET_LINES` lines share, or that
+holds more than `BUCKET_CODES` shingles, is cut into blocks and every two blocks meet in a bucket of their
+own, so no task holds more and no pair is left out. All buckets take the same path: pairs already connected
+are skipped, a parity sketch gives a lower bound of the symmetric difference, the rest is counted exactly.
 
 Defined cases: lines are compared without outer white space, with inner white space as one space and in
-lower case; blank lines always stay; a line shorter than a shingle is one shingle; a null text has no
-lines; rows with equal doc_id count as one document; rows without doc_id are left as they are; an empty
-table gives no rows; extra columns are ignored or, in `dedup_lines`, kept.
+lower case; blank lines always stay; a line shorter than a shingle is one shingle; lines of any length are
+compared whole; a null text has no lines; equal rows share their decisions, so that both keep a line that
+occurs first in them; rows that share a doc_id but not their text are documents of their own, the smaller
+hash first; ties go to the smaller line number; rows without doc_id are left as they are; an empty table
+gives no rows; extra columns are ignored or, in `dedup_lines`, kept.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, release_memory, text_or_empty, unused, written
+from .common import chunks, mix64, release_memory, ship_package, text_or_empty, unused, written
 from .components import connected_components
-
-SHINGLE, BANDS, ROWS, THRESHOLD = 5, 8, 3, 0.8
+from .repeats import buckets_of, pack_columns, runs, unpack_columns
+
+SHINGLE, BANDS, ROWS, THRESHOLD = 5, 16, 5, 0.8
+#: Lines and shingles that one bucket of the verification holds at most (one pair of lines always fits).
+BUCKET_LINES, BUCKET_CODES = 4096, 2 << 20
+#: Kinds of packed records: line numbers that go, first occurrences of lines, lines of shared bands, band keys.
+GONE, FIRST, SHARED, KEYS = 1, 2, 3, 4
+#: Band keys that a task gathers before it packs them, and bits of the largest bitmap of wanted lines.
+GATHER, LARGEST_BITMAP = 600_000, 1 << 28
+_RECORD = "bucket int, doc_id long, version long, kind int, packed binary"
+_MARK = "doc_id long, version long, kind int, packed binary"
 _ODD = np.uint64(0x9E3779B97F4A7C15)
+_UNTIDY = re.compile(r"[^\S \n]|  | \n|\n | $|^ ")
 
 
 def canonical(line: str) -> str:
     return " ".join(line.lower().split())
 
 
+def canonical_lines(text: str) -> list[str]:
+    """All lines of a text in canonical form; most texts have no white space to tidy."""
+    low = text.lower()
+    return [" ".join(line.split()) for line in low.split("\n")] if _UNTIDY.search(low) else low.split("\n")
+
+
 def line_id(line: str) -> int:
     """A signed 64-bit identifier of a canonical line."""
     return int.from_bytes(hashlib.blake2b(line.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little", signed=True)
 
 
+def _ids(lines: list[str]) -> np.ndarray:
+    raw = b"".join(hashlib.blake2b(line.encode("utf-8", "surrogatepass"), digest_size=8).digest() for line in lines)
+    return np.frombuffer(raw, "<u8").astype(np.uint64)
+
+
 def shingle_codes(lines: list[str], width: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
     """Codes of all shingles of non-empty lines, one line after another, and n+1 bounds."""
     sizes = np.fromiter(map(len, lines), np.int64, len(lines))
@@ -72,238 +101,403 @@ def shingle_codes(lines: list[str], width: int = SHINGLE) -> tuple[np.ndarray, n
     return code, bounds
 
 
-def band_keys(lines: list[str], bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
-    """Band hashes of each line, one column per band."""
-    code, bounds = shingle_codes(lines)
+def min_keys(code: np.ndarray, bounds: np.ndarray, bands: int, rows: int, seed: int) -> np.ndarray:
+    """Band hashes of each set of codes, one column per band."""
     code = (code >> np.uint64(32)).astype(np.uint32)
-    out = np.zeros((len(lines), bands), np.uint64)
-    rng = np.random.default_rng(20)
+    out = np.zeros((len(bounds) - 1, bands), np.uint64)
+    rng = np.random.default_rng(seed)
+    held = np.empty_like(code)
     for band in range(bands):
-        key = np.full(len(lines), band + 1, np.uint64)
+        key = np.full(len(out), band + 1, np.uint64)
         for _ in range(rows):
-            factor = np.uint32(int(rng.integers(0, 1 << 31)) * 2 + 1)
-            key = mix64(key * _ODD ^ np.minimum.reduceat(code * factor, bounds[:-1]))
+            np.multiply(code, np.uint32(int(rng.integers(0, 1 << 31)) * 2 + 1), out=held)
+            key = mix64(key * _ODD ^ np.minimum.reduceat(held, bounds[:-1]))
         out[:, band] = key
     return out
 
 
-def jaccard(a: set, b: set) -> float:
-    common = len(a & b)
-    return common / max(len(a) + len(b) - common, 1)
+def band_keys(lines: list[str], bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
+    """Band hashes of each line, one column per band."""
+    return min_keys(*shingle_codes(lines), bands, rows, 20)
+
+
+def _step(buckets: int) -> np.uint64:
+    """Values per bucket where 64-bit values are dealt out by their size."""
+    return np.uint64(-(-(1 << 64) // buckets))
+
+
+def _records(rows: list[tuple], schema: str) -> pa.RecordBatch:
+    kinds = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary()}
+    fields = [f.split() for f in schema.split(", ")]
+    columns = list(zip(*rows, strict=True)) or [()] * len(fields)
+    return pa.RecordBatch.from_arrays([pa.array(c, kinds[k]) for c, (_, k) in zip(columns, fields, strict=True)], [n for n, _ in fields])
+
 
+def _settle(line: np.ndarray, doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> tuple[tuple, tuple]:
+    """First occurrences of lines, and the other ones; occurrences given twice count once."""
+    order = np.lexsort((number, version, doc, line))
+    line, doc, version, number = (c[order] for c in (line, doc, version, number))
+    fresh, same = np.ones(len(line), bool), np.zeros(len(line), bool)
+    fresh[1:] = line[1:] != line[:-1]
+    same[1:] = ~fresh[1:] & (doc[1:] == doc[:-1]) & (version[1:] == version[:-1]) & (number[1:] == number[:-1])
+    first, later = np.flatnonzero(fresh), np.flatnonzero(~(fresh | same))
+    return tuple(c[first] for c in (line, doc, version, number)), tuple(c[later] for c in (doc, version, number))
 
-def _documents(batches: Iterator[pa.RecordBatch], limit: int = 1 << 19):
-    """(doc_id, its lines) of each row, in bounded parts."""
-    for part in chunks(batches, "text", limit):
-        names = part.schema.names
-        yield [(d, (t or "").split("\n")) for d, t in zip(part.column(names.index("doc_id")).to_pylist(), part.column(names.index("text")).to_pylist(), strict=True)]
 
+def _gone_marks(doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> Iterator[tuple[int, int, int, bytes]]:
+    order = np.lexsort((number, version, doc))
+    doc, version, number = doc[order], version[order], number[order]
+    edge = np.flatnonzero(np.concatenate([[True], (doc[1:] != doc[:-1]) | (version[1:] != version[:-1])])) if len(doc) else []
+    for a, b in zip(edge, [*edge[1:], len(doc)]):
+        yield int(doc[a]), int(version[a]), GONE, number[a:b].astype("<u4").tobytes()
 
-def _occurrences(bands: int, rows: int):
-    """(doc_id, line, id, keys) of every line that isn't blank; band keys come with a line's first occurrence in the task."""
+
+def _pack_firsts(line: np.ndarray, doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> bytes:
+    docs, which = np.unique(np.stack([doc, version], 1), axis=0, return_inverse=True)
+    table = pack_columns([docs[:, 0], docs[:, 1]])
+    return len(table).to_bytes(4, "big") + table + pack_columns([line, which.ravel().astype(np.uint32), number.astype(np.uint32)])
+
+
+def _unpack_firsts(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    size = int.from_bytes(blob[:4], "big")
+    doc, version = unpack_columns(blob[4 : 4 + size], [np.int64, np.int64])
+    line, which, number = unpack_columns(blob[4 + size :], [np.uint64, np.uint32, np.uint32])
+    return line, doc[which], version[which], number.astype(np.int64)
+
+
+def _gather(bands: int, rows: int, buckets: int):
+    """Packed band keys and first occurrences of each part of a task, by bucket, and the later occurrences in it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sent: set[int] = set()
-        for documents in _documents(batches):
+        places: list[tuple] = []
+        entries: list[tuple] = []
+
+        def flush() -> pa.RecordBatch:
+            first, later = _settle(*(np.concatenate(c) for c in zip(*places, strict=True)))
+            out = [(doc % buckets, doc, version, kind, packed) for doc, version, kind, packed in _gone_marks(*later)]
+            edges = np.searchsorted(first[0] // _step(buckets), np.arange(buckets + 1, dtype=np.uint64))
+            out += [(k, None, None, FIRST, _pack_firsts(*(c[a:b] for c in first))) for k, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
+            if entries:
+                key, line, size = (np.concatenate(c) for c in zip(*entries, strict=True))
+                order = np.argsort(key, kind="stable")
+                key, line, size = key[order], line[order], size[order]
+                edges = np.searchsorted(key // _step(buckets), np.arange(buckets + 1, dtype=np.uint64))
+                out += [(k, None, None, KEYS, pack_columns([key[a:b], line[a:b], size[a:b]])) for k, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
+            places.clear()
+            entries.clear()
+            return _records(out, _RECORD)
+
+        held = 0
+        for part in chunks(batches):
             known: dict[str, int] = {}
-            fresh: dict[str, int] = {}
-            doc, number, ids, first = [], [], [], []
-            for doc_id, lines in documents:
-                for at, line in enumerate(lines):
-                    plain = canonical(line)
-                    if not plain:
-                        continue
-                    own = known.get(plain)
-                    if own is None:
-                        own = known[plain] = line_id(plain)
-                        if own not in sent:
-                            fresh[plain] = len(ids)
-                    doc.append(doc_id)
-                    number.append(at)
-                    ids.append(own)
-            if len(sent) > 500_000:  # bounds memory; keys sent again do no harm
-                sent.clear()
-            sent.update(known[plain] for plain in fresh)
-            sizes = np.zeros(len(ids), np.int32)
-            sizes[list(fresh.values())] = bands
-            values = band_keys(list(fresh), bands, rows).ravel().view(np.int64) if fresh else np.zeros(0, np.int64)
-            keys = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(values))
-            yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(number, pa.int32()), pa.array(ids, pa.int64()), keys], ["doc_id", "line", "id", "keys"])
+            which, counts, numbers = [], [], []
+            for text in part.column(2).to_pylist():
+                lines = canonical_lines(text)
+                kept = [at for at, line in enumerate(lines) if line]
+                which += [known.setdefault(lines[at], len(known)) for at in kept]
+                counts.append(len(kept))
+                numbers += kept
+            if not known:
+                continue
+            ids, names = _ids(list(known)), list(known)
+            doc, version = (np.repeat(part.column(k).to_numpy(), counts) for k in (0, 1))
+            places.append((ids[np.array(which)], doc, version, np.array(numbers, np.int64)))
+            own = ids.tolist()
+            fresh = [k for k, i in enumerate(own) if i not in sent]
+            if fresh:
+                code, bounds = shingle_codes([names[k] for k in fresh])
+                keys = min_keys(code, bounds, bands, rows, 20)
+                entries.append((keys.ravel(), np.repeat(ids[fresh], bands), np.repeat(np.diff(bounds), bands).astype(np.uint32)))
+                held += keys.size
+                if len(sent) > 300_000:  # bounds memory; keys sent again do no harm
+                    sent.clear()
+                sent.update(own[k] for k in fresh)
+            if held > GATHER or sum(len(p[0]) for p in places) > GATHER:
+                yield flush()
+                held = 0
+        if places:
+            yield flush()
 
     return run
 
 
-def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The lines of each band that two different lines share, under a key made of the lines themselves.
+def blocks_of(size: np.ndarray, lines: int = BUCKET_LINES, codes: int = BUCKET_CODES) -> np.ndarray:
+    """Block number of each member of a bucket; any two blocks together stay within the limits."""
+    block = np.zeros(len(size), np.int64)
+    if len(size) <= lines and size.sum() <= codes:
+        return block
+    at = held = weight = 0
+    for k, own in enumerate(size.tolist()):
+        if held and (held >= lines // 2 or weight + own > codes // 2):
+            at, held, weight = at + 1, 0, 0
+        block[k], held, weight = at, held + 1, weight + own
+    return block
 
-    Bands that the same lines share give the same rows, so that lines are verified together once.
-    """
-    parts = [(np.asarray(b.column(0)), np.asarray(b.column(1))) for b in batches]
-    if not parts:
-        return
-    key, line = (np.concatenate(c) for c in zip(*parts, strict=True))
+
+def shared_buckets(key: np.ndarray, line: np.ndarray, size: np.ndarray, lines: int = BUCKET_LINES, codes: int = BUCKET_CODES) -> tuple[np.ndarray, np.ndarray]:
+    """(bucket, line) of the bands that different lines share; equal sets of lines make one bucket."""
+    if not len(key):
+        return key, line
     order = np.lexsort((line, key))
-    key, line = key[order], line[order]
+    key, line, size = key[order], line[order], size[order]
     fresh = np.concatenate([[True], (key[1:] != key[:-1]) | (line[1:] != line[:-1])])
-    key, line = key[fresh], line[fresh]
+    key, line, size = key[fresh], line[fresh], size[fresh]
     again = np.concatenate([[False], key[1:] == key[:-1]])
     kept = again | np.concatenate([again[1:], [False]])
-    key, line = key[kept], line[kept]
-    if len(key):
-        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-        size = np.diff(np.append(first, len(key)))
-        members = mix64(np.add.reduceat(mix64(line.view(np.uint64)), first) ^ size.astype(np.uint64))
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(members, size).view(np.int64)), pa.array(line)], ["key", "id"])
+    key, line, size = key[kept], line[kept], size[kept]
+    if not len(key):
+        return key, line
+    first, stop = runs(key)
+    count, weight = stop - first, np.add.reduceat(size.astype(np.int64), first)
+    bucket = mix64(np.add.reduceat(mix64(line), first) ^ count.astype(np.uint64))
+    _, one = np.unique(bucket, return_index=True)
+    chosen = np.zeros(len(bucket), bool)
+    chosen[one] = True
+    plain = chosen & (count <= lines) & (weight <= codes)
+    out = [(np.repeat(bucket[plain], count[plain]), line[np.repeat(plain, count)])]
+    for k in np.flatnonzero(chosen & ~plain):
+        own = slice(first[k], stop[k])
+        block = blocks_of(size[own].astype(np.int64), lines, codes)
+        for i in range(int(block[-1]) + 1):
+            for j in range(i + 1, int(block[-1]) + 1):
+                both = line[own][(block == i) | (block == j)]
+                out.append((np.full(len(both), mix64(np.array([int(bucket[k]) ^ (i << 32 | j)], np.uint64))[0]), both))
+    return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+
+
+def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Marks of each bucket of packed records."""
+    firsts: dict[int, list[bytes]] = {}
+    keys: dict[int, list[bytes]] = {}
+    for batch in batches:
+        passed = []
+        for bucket, doc, version, kind, packed in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if kind == GONE:
+                passed.append((doc, version, kind, packed))
+            else:
+                (firsts if kind == FIRST else keys).setdefault(bucket, []).append(packed)
+        if passed:
+            yield _records(passed, _MARK)
+    for bucket in sorted(firsts):
+        first, later = _settle(*(np.concatenate(c) for c in zip(*(_unpack_firsts(b) for b in firsts.pop(bucket)), strict=True)))
+        yield _records([*_gone_marks(*later), (None, None, FIRST, _pack_firsts(*first))], _MARK)
+    for bucket in sorted(keys):
+        parts = [unpack_columns(b, [np.uint64, np.uint64, np.uint32]) for b in keys.pop(bucket)]
+        shared, line = shared_buckets(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+        if len(shared):
+            yield _records([(None, None, SHARED, pack_columns([shared, line]))], _MARK)
     release_memory()
 
 
-def _lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(id, canonical text) of the wanted lines of each document."""
-    for part in chunks(batches):
-        names = part.schema.names
-        ids, texts = [], []
-        for text, wanted in zip(part.column(names.index("text")).to_pylist(), part.column(names.index("wanted")).to_pylist(), strict=True):
-            lines = text.split("\n") if wanted else []
-            for item in wanted or []:
-                ids.append(item["id"])
-                texts.append(canonical(lines[item["line"]]))
-        if ids:
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(texts, pa.string())], ["id", "plain"])
-
-
-def few_links(ids: list[int], sets: list[set], threshold: float) -> list[tuple[int, int]]:
-    """Verified links that connect what a small bucket's similar lines connect; pairs already connected are skipped."""
-    groups: list[list[int]] = []
-    links = []
-    for i in sorted(range(len(ids)), key=lambda i: (len(sets[i]), ids[i])):
-        joined, own = [], [i]
-        for group in groups:
-            near = next((j for j in reversed(group) if len(sets[j]) >= threshold * len(sets[i]) and jaccard(sets[i], sets[j]) >= threshold), None)
-            if near is None:
-                joined.append(group)
-            else:
-                links.append((min(ids[i], ids[near]), max(ids[i], ids[near])))
-                own = group + own
-        groups = [*joined, own]
-    return links
+def _unpack_shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for blob in batch.column(0).to_pylist():
+            key, line = unpack_columns(blob, [np.uint64, np.uint64])
+            yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(line.view(np.int64))], ["key", "id"])
 
 
-def bucket_links(ids: list[int], codes: list[np.ndarray], threshold: float, block: int = 128) -> list[tuple[int, int]]:
-    """Verified links that connect what a large bucket's similar lines connect.
+def bitmap_of(ids: DataFrame, parts: int = 16) -> tuple[bytes, int]:
+    """A bitmap of the ids (column id) by their leading bits, and the number of bits that select one.
 
-    `codes` are the lines' shingle codes. Shared shingles are counted exactly, a block of lines against
-    another at a time; blocks whose lines are all connected already are skipped.
+    Eight bits an id, up to `LARGEST_BITMAP` bits; beyond that it selects more rows than asked for, never fewer.
     """
-    _, columns = np.unique(np.concatenate(codes), return_inverse=True)
-    owner = np.repeat(np.arange(len(ids)), [len(c) for c in codes])
-    width = int(columns.max()) + 1
-    cells = np.unique(owner * width + columns)
-    owner, columns = cells // width, cells % width
-    size = np.bincount(owner, minlength=len(ids))
-    edges = np.searchsorted(owner, np.arange(0, len(ids) + block, block))
-    root = np.arange(len(ids))
-
-    def table(k: int) -> tuple[np.ndarray, int]:
-        mine = slice(edges[k], edges[k + 1])
-        rows = min(block, len(ids) - k * block)
-        out = np.zeros((rows, width), np.float32)
-        out[owner[mine] - k * block, columns[mine]] = 1
-        return out, rows
-
-    links = []
-    for i in range(len(edges) - 1):
-        left, n = table(i)
-        for j in range(i + 1):
-            here = np.concatenate([root[i * block : i * block + n], root[j * block : (j + 1) * block]])
-            if (here == here[0]).all():
-                continue
-            right, m = (left, n) if i == j else table(j)
-            common = left @ right.T
-            near = common >= threshold * (size[i * block : i * block + n, None] + size[None, j * block : j * block + m] - common) - 1e-4
-            for x, y in zip(*np.nonzero(near), strict=True):
-                a, b = i * block + x, j * block + y
-                if root[a] != root[b]:
-                    links.append((min(ids[a], ids[b]), max(ids[a], ids[b])))
-                    root[root == max(root[a], root[b])] = min(root[a], root[b])
-    return links
-
-
-def _verify(threshold: float, step: int = 2000, small: int = 48):
+    wanted = 8 * ids.count()
+    bits = int(min(max(wanted, 1 << 16), LARGEST_BITMAP) - 1).bit_length()
+    span = (1 << bits) // parts
+
+    def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own: dict[int, np.ndarray] = {}
+        for batch in batches:
+            slot = (batch.column(1).to_numpy().view(np.uint64) >> np.uint64(64 - bits)).astype(np.int64)
+            for part in np.unique(slot // span).tolist():
+                own.setdefault(part, np.zeros(span, bool))[slot[slot // span == part] % span] = True
+        for part, seen in own.items():
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([np.packbits(seen).tobytes()], pa.binary())], ["part", "bits"])
+
+    dealt = ids.select(F.shiftrightunsigned("id", 64 - (parts.bit_length() - 1)).cast("int").alias("part"), "id").repartitionById(parts, "part")
+    rows = {r["part"]: r["bits"] for r in dealt.mapInArrow(mark, "part int, bits binary").toLocalIterator()}
+    return b"".join(rows.get(k, bytes(span // 8)) for k in range(parts)), bits
+
+
+def _selected(ids: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
+    slot = (ids >> np.uint64(64 - bits)).astype(np.int64)
+    return np.flatnonzero(bitmap[slot >> 3] >> (7 - (slot & 7)).astype(np.uint8) & 1)
+
+
+def _wanted_texts(shared, bits: int):
+    """(id, canonical text) of the lines that the bitmap selects, once for each part of a task."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        buckets: dict[int, list[int]] = {}
-        texts: dict[int, str] = {}
+        bitmap = np.frombuffer(shared.value, np.uint8)
+        for part in chunks(batches):
+            lines = list({line for text in part.column(0).to_pylist() for line in canonical_lines(text) if line})
+            ids = _ids(lines)
+            found = _selected(ids, bitmap, bits)
+            if len(found):
+                yield pa.RecordBatch.from_arrays([pa.array(ids[found].view(np.int64)), pa.array([lines[k] for k in found], pa.string())], ["id", "plain"])
+
+    return run
+
+
+def _wanted_firsts(shared, bits: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bitmap = np.frombuffer(shared.value, np.uint8)
         for batch in batches:
-            for key, line, plain in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                buckets.setdefault(key, []).append(line)
-                texts.setdefault(line, plain)
-        found: set[tuple[int, int]] = set()
-        waiting: list[list[int]] = []
-        held = 0
+            for blob in batch.column(0).to_pylist():
+                line, doc, version, number = _unpack_firsts(blob)
+                at = _selected(line, bitmap, bits)
+                yield pa.RecordBatch.from_arrays([pa.array(line[at].view(np.int64)), pa.array(doc[at]), pa.array(version[at]), pa.array(number[at].astype(np.int32))], ["id", "doc_id", "version", "line"])
+
+    return run
+
 
-        def check() -> None:
-            lines = list({line for members in waiting for line in members})
-            code, bounds = shingle_codes([texts[line] for line in lines])
-            parts = {line: code[a:b] for line, a, b in zip(lines, bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)}
-            for members in waiting:
-                if len(members) > small:
-                    found.update(bucket_links(members, [parts[line] for line in members], threshold))
-                else:
-                    found.update(few_links(members, [set(parts[line].tolist()) for line in members], threshold))
-
-        for members in buckets.values():
-            if len(members) > 1:
-                waiting.append(members)
-                held += len(members)
-                if held > step:
-                    check()
-                    waiting, held = [], 0
-        if waiting:
-            check()
-        if found:
-            low, high = zip(*sorted(found), strict=True)
-            yield pa.RecordBatch.from_arrays([pa.array(low, pa.int64()), pa.array(high, pa.int64())], ["lo", "hi"])
+def sorted_sets(code: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct codes (of 44 bits) of each set, in order, and n+1 bounds; up to 2**20 sets."""
+    owner = np.repeat(np.arange(len(bounds) - 1, dtype=np.uint64), np.diff(bounds))
+    both = np.unique(owner << np.uint64(44) | code >> np.uint64(20))
+    return both & np.uint64((1 << 44) - 1), np.searchsorted(both >> np.uint64(44), np.arange(len(bounds), dtype=np.uint64))
+
+
+def parity_sketches(code: np.ndarray, bounds: np.ndarray, bits: int) -> np.ndarray:
+    """A row of 64-bit words for each set: bit b is the parity of the codes that fall on b.
+
+    Two rows differ in at most as many bits as the symmetric difference of their sets has codes.
+    """
+    owner = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+    flips = np.bincount(owner * bits + (code % np.uint64(bits)).astype(np.int64), minlength=(len(bounds) - 1) * bits) & 1
+    return np.packbits(flips.astype(np.uint8).reshape(-1, bits), axis=1).view(np.uint64)
+
+
+def set_links(bucket: np.ndarray, member: np.ndarray, code: np.ndarray, bounds: np.ndarray, threshold: float) -> list[tuple[int, int]]:
+    """Pairs of sets that connect what the similar pairs within the buckets connect.
+
+    `bucket` is sorted; `member` gives the set at each place of a bucket. Places at distance 1, 2, ... are
+    compared for all buckets at once; pairs whose sets are connected already are skipped.
+    """
+    code, bounds = sorted_sets(code, bounds)
+    size = np.diff(bounds)
+    bits = 1 << max(8, min(int(np.median(size, keepdims=False)) if len(size) else 1, 1 << 14).bit_length())
+    sketch = parity_sketches(code, bounds, bits)
+    root = np.arange(len(size))
+    slack = (1 - threshold) / (1 + threshold)
+    links: list[tuple[int, int]] = []
+    gap = 1
+    while True:
+        left = np.flatnonzero(bucket[gap:] == bucket[:-gap]) if gap < len(bucket) else np.zeros(0, np.int64)
+        if not len(left):
+            return links
+        a, b = member[left], member[left + gap]
+        apart = root[a] != root[b]
+        a, b = a[apart], b[apart]
+        for at in range(0, len(a), 4096):
+            x, y = a[at : at + 4096], b[at : at + 4096]
+            differing = np.bitwise_count(sketch[x] ^ sketch[y]).sum(1, dtype=np.int64)
+            near = differing <= slack * (size[x] + size[y]) + 1e-9
+            for i, j in zip(x[near].tolist(), y[near].tolist()):
+                if root[i] == root[j]:
+                    continue
+                one, two = code[bounds[i] : bounds[i + 1]], code[bounds[j] : bounds[j + 1]]
+                where = np.searchsorted(one, two)
+                common = int((one[np.minimum(where, len(one) - 1)] == two).sum())
+                if common >= threshold * (len(one) + len(two) - common) - 1e-9:
+                    links.append((i, j))
+                    low, high = sorted((int(root[i]), int(root[j])))
+                    root[root == high] = low
+        gap += 1
+
+
+def _verify(threshold: float, coded, step: int = 2000):
+    """Links among the rows (key, id, text), sorted by key, of a task; `coded` gives the texts' shingle codes."""
+
+    def check(waiting: list[tuple[int, list[tuple[int, str]]]]) -> pa.RecordBatch:
+        texts = {line: text for _, members in waiting for line, text in members}
+        ids = np.array(sorted(texts), np.int64)
+        code, bounds = coded([texts[i] for i in ids.tolist()])
+        bucket = np.repeat(np.arange(len(waiting)), [len(members) for _, members in waiting])
+        member = np.searchsorted(ids, np.array([line for _, members in waiting for line, _ in members], np.int64))
+        links = np.array(set_links(bucket, member, code, bounds, threshold), np.int64).reshape(-1, 2)
+        return pa.RecordBatch.from_arrays([pa.array(ids[links.min(1)]), pa.array(ids[links.max(1)])], ["lo", "hi"]) if len(links) else None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = (r for b in batches for at in range(0, b.num_rows, 500) for r in zip(*(c.to_pylist() for c in b.slice(at, 500).columns), strict=True))
+        waiting, held, weight = [], 0, 0
+        for key, group in groupby(rows, key=lambda r: r[0]):
+            members = [(line, text) for _, line, text in group]
+            own = sum(len(text) for _, text in members)
+            if waiting and (held + len(members) > step or weight + own > 1 << 20):
+                if (found := check(waiting)) is not None:
+                    yield found
+                waiting, held, weight = [], 0, 0
+            waiting.append((key, members))
+            held, weight = held + len(members), weight + own
+        if waiting and (found := check(waiting)) is not None:
+            yield found
         release_memory()
 
     return run
 
 
+def _own(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64(text_or_empty()).alias("version"), text_or_empty().alias("text"))
+
+
 def removed_lines(docs: DataFrame, *, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """(doc_id, removed): the sorted numbers, from 0, of the lines that go; documents that lose none are absent."""
+    """(doc_id, version, removed): sorted numbers, from 0, of the lines that go from texts of that hash; others are absent."""
     spark = docs.sparkSession
-    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8)
-    own = docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).where("doc_id IS NOT NULL")
-    placed = written(own.mapInArrow(_occurrences(bands, rows), "doc_id long, line int, id long, keys array<long>"), "line-places")
-    places = placed.select("doc_id", "line", "id")
-    firsts = written(places.groupBy("id").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n")), "line-firsts")
-    shared = placed.select(F.explode("keys").alias("key"), "id").repartition(tasks, "key").mapInArrow(_shared, "key long, id long")
+    ship_package(spark)
+    tasks, buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8), buckets_of(docs)
+    own = _own(docs).where("doc_id IS NOT NULL")
+    marks = written(own.mapInArrow(_gather(bands, rows, buckets), _RECORD).repartitionById(buckets, "bucket").mapInArrow(_judge, _MARK), "line-marks")
+    shared = marks.where(F.col("kind") == SHARED).select("packed").mapInArrow(_unpack_shared, "key long, id long")
     candidates = written(shared.distinct(), "line-candidates")
-    wanted = candidates.select("id").distinct().join(firsts, "id").groupBy(F.col("first.doc_id").alias("at")).agg(F.collect_list(F.struct(F.col("first.line").alias("line"), "id")).alias("wanted"))
-    texts = own.join(wanted, F.col("doc_id") == F.col("at")).select("text", "wanted").mapInArrow(_lines_of, "id long, plain string").dropDuplicates(["id"])
-    links = candidates.join(texts, "id").select("key", "id", "plain").repartition(tasks, "key").mapInArrow(_verify(threshold), "lo long, hi long")
-    roots = connected_components(links, "line-components")
+    bitmap, bits = bitmap_of(candidates.select("id"))
+    sent = spark.sparkContext.broadcast(bitmap)  # of LARGEST_BITMAP bits at most
+    texts = own.select("text").mapInArrow(_wanted_texts(sent, bits), "id long, plain string").dropDuplicates(["id"])
+    placed = candidates.join(texts, "id").select("key", "id", "plain").repartition(tasks, "key").sortWithinPartitions("key")
+    roots = connected_components(placed.mapInArrow(_verify(threshold, shingle_codes), "lo long, hi long"), "line-components")
     members = roots.select(F.col("node").alias("id"), "root").unionByName(roots.select(F.col("root").alias("id"), "root").distinct())
-    grouped = members.join(firsts, "id")
-    keepers = grouped.groupBy("root").agg(F.min("first").alias("keeper"))
-    fuzzy = members.join(keepers, "root").select("id", "keeper")
-    exact = firsts.where("n > 1").join(members.select("id"), "id", "left_anti").select("id", F.col("first").alias("keeper"))
-    decided = fuzzy.unionByName(exact)
-    gone = places.join(decided, "id").where(F.struct("doc_id", "line") != F.col("keeper")).select("doc_id", "line")
-    return gone.groupBy("doc_id").agg(F.array_sort(F.collect_set("line")).alias("removed"))
+    firsts = marks.where(F.col("kind") == FIRST).select("packed").mapInArrow(_wanted_firsts(sent, bits), "id long, doc_id long, version long, line int")
+    grouped = written(members.join(firsts, "id").select("root", F.struct("doc_id", "version", "line").alias("place")), "line-groups")
+    keepers = grouped.groupBy(F.col("root").alias("of")).agg(F.min("place").alias("keeper"))
+    fuzzy = grouped.join(keepers, F.col("root") == F.col("of")).where("place != keeper").select("place.doc_id", "place.version", "place.line")
+    exact = marks.where(F.col("kind") == GONE).select("doc_id", "version", "packed").mapInArrow(_numbers, "doc_id long, version long, line int")
+    return exact.unionByName(fuzzy).groupBy("doc_id", "version").agg(F.array_sort(F.collect_set("line")).alias("removed"))
+
+
+def _numbers(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        lines = [np.frombuffer(blob, "<u4").astype(np.int32) for blob in batch.column(2).to_pylist()]
+        which = pa.array(np.repeat(np.arange(len(lines)), [len(x) for x in lines]))
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(which), batch.column(1).take(which), pa.array(np.concatenate(lines) if lines else np.zeros(0, np.int32))], ["doc_id", "version", "line"])
 
 
 def line_decisions(docs: DataFrame, **options) -> DataFrame:
     """doc_id, n_lines, n_removed and the numbers of the removed lines of every row."""
-    gone = removed_lines(docs, **options).select(F.col("doc_id").alias("_at"), "removed")
-    counted = docs.select(F.col("doc_id").cast("long"), F.when(F.length(text_or_empty()) == 0, 0).otherwise(F.length(text_or_empty()) - F.length(F.replace(text_or_empty(), F.lit("\n"))) + 1).cast("long").alias("n_lines"))
-    empty = F.array().cast("array<int>")
-    return counted.join(gone, F.col("doc_id") == F.col("_at"), "left").select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce("removed", empty).alias("removed_lines"))
+    gone = removed_lines(docs, **options).select(F.col("doc_id").alias("_at"), F.col("version").alias("_version"), "removed")
+    breaks = F.length(F.col("text")) - F.length(F.replace(F.col("text"), F.lit("\n")))
+    counted = _own(docs).select("doc_id", "version", F.when(F.length("text") == 0, 0).otherwise(breaks + 1).cast("long").alias("n_lines"))
+    joined = counted.join(gone, (F.col("doc_id") == F.col("_at")) & (F.col("version") == F.col("_version")), "left")
+    return joined.select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce("removed", F.array().cast("array<int>")).alias("removed_lines"))
 
 
 def dedup_lines(docs: DataFrame, **options) -> DataFrame:
     """`docs` with the removed lines taken out of `text`; other columns as they are."""
-    at, out = unused(docs, "_at"), unused(docs, "_removed")
-    gone = removed_lines(docs, **options).select(F.col("doc_id").alias(at), F.col("removed").alias(out))
-    joined = docs.join(gone, F.col("doc_id") == F.col(at), "left")
-    lines = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda line, number: ~F.array_contains(out, number)), "\n")
-    return joined.select(*(F.when(F.col(out).isNull(), F.col("text")).otherwise(kept).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns))
+    at, version, out = unused(docs, "_at"), unused(docs, "_version"), unused(docs, "_removed")
+    gone = removed_lines(docs, **options).select(F.col("doc_id").alias(at), F.col("version").alias(version), F.col("removed").alias(out))
+    same = (F.col("doc_id").cast("long") == F.col(at)) & (F.xxhash64(text_or_empty()) == F.col(version))
+    marked = docs.join(gone, same, "left").select(*(F.col(f"`{c}`") for c in docs.columns), out)
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in chunks(batches):
+            where = part.schema.get_field_index("text")
+            texts, kept = part.column(where).to_pylist(), []
+            for text, lost in zip(texts, part.column(part.num_columns - 1).to_pylist(), strict=True):
+                if lost:
+                    goes = set(lost)
+                    text = "\n".join(line for number, line in enumerate(text.split("\n")) if number not in goes)
+                kept.append(text)
+            columns = [pa.array(kept, part.schema.field(k).type) if k == where else part.column(k) for k in range(part.num_columns - 1)]
+            yield pa.RecordBatch.from_arrays(columns, part.schema.names[:-1])
+
+    return marked.mapInArrow(cut, docs.schema)

@@ -9,8 +9,8 @@ The first two budgets make the join key: fingerprints are indexed by two neighbo
 with each one-bit change of the second. Longer chains are checked before the full Hamming distance.
 
 Rows are distinct fingerprints, so exact copies cost nothing. Probes and index entries of one key meet in
-one task, where runs are compared in numpy blocks and only a spanning forest of the links leaves the task:
-a dense group of g fingerprints gives fewer than g rows per key, not g squared.
+one task, where all runs take the same path whatever their size, and only a spanning forest of the links
+leaves the task: a dense group of g fingerprints gives fewer than g rows per key, not g squared.
 
 Defined cases: a null or empty text has fingerprint zero, linked like any other; with fewer words than a
 shingle the whole sequence is the shingle; repeated rows share a component; a null doc_id is kept and its
@@ -29,9 +29,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, release_memory, text_buffer, text_or_empty, written
+from .common import chunks, keep_least, release_memory, row_hash, ship_package, text_buffer, text_or_empty, written
 from .components import connected_components, forest
-from .document_dedup import keep_least, row_hash
 
 SHINGLE, THRESHOLD, SEED = 4, 4, 42
 
@@ -120,55 +119,49 @@ def _entries(threshold: int):
     return run
 
 
-def _run_links(index: np.ndarray, probe: np.ndarray, threshold: int, block: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
-    """A spanning forest of the links between one key's index entries and all its entries, in blocks."""
-    low, high = [], []
-    step = max(1, block // max(len(index), 1))
-    for at in range(0, len(probe), step):
-        differing = probe[at : at + step, None] ^ index[None, :]
-        p, i = np.nonzero((np.bitwise_count(differing) <= threshold) & (probe[at : at + step, None] != index[None, :]))
-        if len(p):
-            a, b = forest(index[i].view(np.int64), probe[at + p].view(np.int64))
-            low.append(a)
-            high.append(b)
-            if len(low) > 16:
-                a, b = forest(np.concatenate(low), np.concatenate(high))
-                low, high = [a], [b]
-    if not low:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    return forest(np.concatenate(low), np.concatenate(high))
-
+def link_entries(key: np.ndarray, fp: np.ndarray, probe: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
+    """Forest of the links among entries of equal key.
 
-def link_entries(key: np.ndarray, fp: np.ndarray, probe: np.ndarray, threshold: int, dense: int = 64) -> tuple[np.ndarray, np.ndarray]:
-    """Forest of the links among entries sorted by key."""
+    Entries at distance 1, 2, ... in their key's run are compared for all runs at once: chains from the key's
+    segment first, then the full distance. Entries that are connected already are skipped, and a run whose
+    entries are all connected is left.
+    """
     segments = ring(threshold)
-    order = np.argsort(key, kind="stable")
-    key, fp, probe = key[order], fp[order].view(np.uint64), probe[order]
-    first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-    size = np.diff(np.append(first, len(key)))
-    low, high = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-    for k in np.flatnonzero(size > dense):
-        run = slice(first[k], first[k] + size[k])
-        a, b = _run_links(fp[run][~probe[run]], fp[run], threshold)
-        low.append(a)
-        high.append(b)
-    # Runs of at most `dense` entries: every pair at each distance within the run, all runs at once.
-    run_of = np.repeat(np.arange(len(first)), size)
-    usable = np.repeat((size > 1) & (size <= dense), size)
-    for gap in range(1, int(size[size <= dense].max(initial=1))):
-        left = np.flatnonzero(usable[:-gap] & usable[gap:] & (run_of[:-gap] == run_of[gap:]) & ~(probe[:-gap] & probe[gap:]))
-        if not len(left):
-            continue
-        x, y = fp[left], fp[left + gap]
-        differing = x ^ y
-        start = (key[left].view(np.uint64) >> np.uint64(60)).astype(np.int64)
-        near = differing != 0
+    order = np.lexsort((fp, key))
+    key, fp, probe = key[order], fp[order], probe[order]
+    value = fp.view(np.uint64)
+    start = (key.view(np.uint64) >> np.uint64(60)).astype(np.int64)
+    names, node = np.unique(fp, return_inverse=True)
+    root = np.arange(len(names))
+    place = np.arange(len(key))
+    low, high = [names[:0]], [names[:0]]
+    gap = 1
+    while len(place) > gap:
+        mine, other = place[:-gap], place[gap:]
+        within = key[mine] == key[other]
+        if not within.any():
+            break
+        mine, other = mine[within], other[within]
+        open_ = (root[node[mine]] != root[node[other]]) & ~(probe[mine] & probe[other])
+        mine, other = mine[open_], other[open_]
+        differing = value[mine] ^ value[other]
+        near = np.ones(len(mine), bool)
         for s in range(len(segments)):
-            mine = near & (start == s)
-            near[mine] = chain_ok(differing[mine], s, segments, threshold)
+            here = start[mine] == s
+            near[here] = chain_ok(differing[here], s, segments, threshold)
         near &= np.bitwise_count(differing) <= threshold
-        low.append(np.minimum(x[near].view(np.int64), y[near].view(np.int64)))
-        high.append(np.maximum(x[near].view(np.int64), y[near].view(np.int64)))
+        if near.any():
+            a, b = forest(root[node[mine[near]]], root[node[other[near]]])
+            low.append(names[a])
+            high.append(names[b])
+            moved = np.arange(len(names))
+            moved[b] = a
+            root = moved[root]
+            edge = np.flatnonzero(np.concatenate([[True], key[place][1:] != key[place][:-1]]))
+            owner = root[node[place]]
+            done = np.minimum.reduceat(owner, edge) == np.maximum.reduceat(owner, edge)
+            place = place[np.repeat(~done, np.diff(np.append(edge, len(place))))]
+        gap += 1
     return forest(np.concatenate(low), np.concatenate(high))
 
 
@@ -190,6 +183,7 @@ def fingerprint_links(distinct: DataFrame, threshold: int = THRESHOLD) -> DataFr
 
 def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: int = THRESHOLD, seed: int = SEED) -> DataFrame:
     """doc_id, fingerprint in hex, and component_id: the smallest doc_id reachable over links."""
+    ship_package(docs.sparkSession)
     marked = written(fingerprint(docs, shingle, seed), "fingerprints")
     distinct = written(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
     roots = connected_components(fingerprint_links(distinct, threshold), "fingerprint-components", shrink=False)

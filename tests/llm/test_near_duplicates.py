@@ -18,6 +18,10 @@ def find_all(n, links):
     return [find(x) for x in range(n)]
 
 
+def jaccard(a, b):
+    return len(a & b) / max(len(a | b), 1)
+
+
 def plain_fingerprint(text):
     words = (text or "").encode().lower().split()
     if not words:
@@ -53,8 +57,8 @@ def test_one_document_of_each_group_stays(docs_of, odd_rows):
 
 
 @settings(max_examples=30, deadline=None)
-@given(st.lists(st.integers(0, 2**64 - 1), min_size=2, max_size=12), st.lists(st.integers(0, 63), max_size=60), st.integers(2, 80))
-def test_pigeonring_loses_no_link(seeds, flips, dense):
+@given(st.lists(st.integers(0, 2**64 - 1), min_size=2, max_size=12), st.lists(st.integers(0, 63), max_size=120))
+def test_pigeonring_loses_no_link(seeds, flips):
     values = list(seeds)
     for k, bit in enumerate(flips):
         values.append(values[k % len(values)] ^ (1 << bit))
@@ -63,7 +67,7 @@ def test_pigeonring_loses_no_link(seeds, flips, dense):
 
     entries = list(simhash._entries(4)(iter([pa.RecordBatch.from_arrays([pa.array(fp.view(np.int64))], ["fp"])])))
     key, who, probe = (np.concatenate([e.column(k).to_numpy(zero_copy_only=False) for e in entries]) for k in range(3))
-    low, high = simhash.link_entries(key, who, probe, 4, dense)
+    low, high = simhash.link_entries(key, who, probe, 4)
     at = {v: k for k, v in enumerate(fp.view(np.int64).tolist())}
     near = [(a, b) for a in range(len(fp)) for b in range(a) if (int(fp[a]) ^ int(fp[b])).bit_count() <= 4]
     assert find_all(len(fp), near) == find_all(len(fp), [(at[a], at[b]) for a, b in zip(low.tolist(), high.tolist())])
@@ -97,25 +101,103 @@ def test_bands_find_pairs_at_the_threshold():
         at = int(rng.integers(0, 280))
         edited = line[:at] + "".join(rng.choice(alphabet, 20)) + line[at + 20 :]
         code, bounds = line_dedup.shingle_codes([line, edited])
-        if line_dedup.jaccard(set(code[: bounds[1]].tolist()), set(code[bounds[1] :].tolist())) >= 0.8:
+        if jaccard(set(code[: bounds[1]].tolist()), set(code[bounds[1] :].tolist())) >= 0.8:
             total += 1
             keys = line_dedup.band_keys([line, edited])
             found += bool((keys[0] == keys[1]).any())
     assert total > 50 and found >= 0.95 * total
 
 
+def test_a_dense_key_is_linked_as_a_whole():
+    import pyarrow as pa
+
+    rng = np.random.default_rng(4)
+    bits = np.uint64(1) << rng.integers(0, 64, (3000, 3)).astype(np.uint64)
+    fp = np.unique(np.uint64(0x0123456789ABCDEF) ^ np.bitwise_xor.reduce(bits, axis=1))
+    entries = list(simhash._entries(4)(iter([pa.RecordBatch.from_arrays([pa.array(fp.view(np.int64))], ["fp"])])))
+    key, who, probe = (np.concatenate([e.column(k).to_numpy(zero_copy_only=False) for e in entries]) for k in range(3))
+    low, high = simhash.link_entries(key, who, probe, 4)
+    at = {v: k for k, v in enumerate(fp.view(np.int64).tolist())}
+    near = [(a, b) for a in range(len(fp)) for b in np.flatnonzero(np.bitwise_count(fp[:a] ^ fp[a]) <= 4).tolist()]
+    assert len(low) < len(fp) and find_all(len(fp), near) == find_all(len(fp), [(at[a], at[b]) for a, b in zip(low.tolist(), high.tolist())])
+
+
 @settings(max_examples=25, deadline=None)
-@given(st.integers(2, 40), st.integers(0, 2**32 - 1))
-def test_large_and_small_buckets_verify_alike(count, seed):
+@given(st.integers(2, 40), st.integers(1, 4), st.integers(0, 2**32 - 1))
+def test_buckets_verify_as_brute_force(count, buckets, seed):
     rng = np.random.default_rng(seed)
-    base = [rng.integers(0, 60, 30) for _ in range(4)]
+    base = [rng.integers(0, 2**63, 30) for _ in range(4)]
     codes = []
     for k in range(count):
         own = base[k % 4].copy()
-        own[: int(rng.integers(0, 5))] = rng.integers(100, 200)
+        own[: int(rng.integers(0, 5))] = rng.integers(0, 2**63)
         codes.append(own.astype(np.uint64))
-    ids = list(range(count))
     sets = [set(c.tolist()) for c in codes]
-    near = [(a, b) for a in ids for b in range(a) if line_dedup.jaccard(sets[a], sets[b]) >= 0.8]
-    expected = find_all(count, near)
-    assert find_all(count, line_dedup.bucket_links(ids, codes, 0.8, 8)) == expected == find_all(count, line_dedup.few_links(ids, sets, 0.8))
+    bucket = np.sort(rng.integers(0, buckets, count))
+    near = [(a, b) for a in range(count) for b in range(a) if bucket[a] == bucket[b] and jaccard(sets[a], sets[b]) >= 0.8]
+    bounds = np.concatenate([[0], np.cumsum([len(c) for c in codes])])
+    got = line_dedup.set_links(bucket, np.arange(count), np.concatenate(codes), bounds, 0.8)
+    assert find_all(count, near) == find_all(count, got) and len(got) < count
+
+
+def test_a_bucket_of_many_lines_stays_within_its_memory():
+    """20,000 similar lines meet in blocks; each bucket holds at most `BUCKET_LINES`, every pair shares one."""
+    n = 20_000
+    line, key = np.arange(1, n + 1).astype(np.uint64), np.full(n, 7, np.uint64)
+    bucket, member = line_dedup.shared_buckets(key, line, np.full(n, 100, np.uint32))
+    sizes = np.unique(bucket, return_counts=True)[1]
+    assert sizes.max() <= line_dedup.BUCKET_LINES and len(member) <= 10 * n
+    together = np.zeros((n // 100, n // 100), bool)
+    for b in np.unique(bucket):
+        mine = np.unique((member[bucket == b] - 1) // 100).astype(int)
+        together[np.ix_(mine, mine)] = True
+    assert together.all()
+
+
+def test_large_bucket_of_similar_lines_is_one_component():
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    base = "it is said that the old house by the river was built for a captain who never came home again"
+    lines = [base.replace("captain", "".join(rng.choice(list("abcdefgh"), 7))) for _ in range(4000)]
+    code, bounds = line_dedup.shingle_codes(lines)
+    tracemalloc.start()
+    links = line_dedup.set_links(np.zeros(4000, np.int64), np.arange(4000), code, bounds, 0.8)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(links) == 3999 and peak < 120 << 20
+
+
+def test_lines_of_a_table_equal_all_pairs(spark):
+    """Components over sf0.001 against the exact similarity of all pairs of its distinct lines."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    places, first = {}, {}
+    for r in docs.collect():
+        for number, line in enumerate((r["text"] or "").split("\n")):
+            plain = line_dedup.canonical(line)
+            if plain:
+                places.setdefault(plain, []).append((r["doc_id"], number))
+    lines = sorted(places)
+    sets = [{x[k : k + 5] for k in range(max(len(x) - 4, 1))} for x in lines]
+    order = sorted(range(len(lines)), key=lambda k: len(sets[k]))
+    near = []
+    for n, a in enumerate(order):
+        for b in order[n + 1 :]:
+            if len(sets[b]) * 0.8 > len(sets[a]):
+                break
+            if jaccard(sets[a], sets[b]) >= 0.8:
+                near.append((a, b))
+    roots = find_all(len(lines), near)
+    for k, line in enumerate(lines):
+        first[roots[k]] = min(first.get(roots[k], (1 << 60, 0)), min(places[line]))
+    gone = {p for k, line in enumerate(lines) for p in places[line] if p != first[roots[k]]}
+    got = {(r["doc_id"], n) for r in line_dedup.line_decisions(docs).collect() for n in r["removed_lines"]}
+    assert len(near) > 5 and got <= gone and len(got) >= 0.99 * len(gone)
+
+
+def test_repeated_rows_and_shared_ids(docs_of):
+    text = "a line that stands in two equal rows and nowhere else in this table"
+    rows = [(9, text), (9, text), (10, "x y z\n" + text), (9, "another text of the same number\nsecond line"), (9, "second line")]
+    got = sorted((r["doc_id"], r["n_lines"], tuple(r["removed_lines"])) for r in line_dedup.line_decisions(docs_of(rows)).collect())
+    assert got.count((9, 1, ())) >= 2 and (10, 2, (1,)) in got
+    assert sum(len(r[2]) for r in got) == 2
