@@ -2,12 +2,14 @@
 
 Lines are compared by their character shingles. A task hashes its distinct lines once: signatures of
 `bands * rows` minima, cut into bands (at the default bands a pair at the threshold shares one with
-probability 0.998). Band keys with line identifiers, and the first occurrence of each line, go to buckets in
-one shuffle of packed arrays; later occurrences of a line are settled on the way, so a line that a third of
-all documents share costs one record for each part of a task. Lines that share a band are candidates: their
-texts are fetched through a bitmap of fixed size, their exact Jaccard similarity is checked, and union-find
-over the verified links gives components: within a bucket first, then across the cluster by alternating
-stars. Of a component the line of the smallest (doc_id, line number) stays.
+probability 0.998), and a sketch of one bit each of 64 minima. Band keys with line identifiers, and the first
+occurrence of each line, go to buckets in one shuffle of packed arrays; later occurrences of a line are
+settled on the way, so a line that a third of all documents share costs one record for each part of a task.
+Lines that share a band meet with their sketches: those with no partner whose sketch agrees in `AGREE` bits
+(a pair at the threshold does with probability 0.9999) are dropped. The others' texts are fetched through a
+bitmap of fixed size, their exact Jaccard similarity is checked, and union-find over the verified links gives
+components: within a bucket first, then across the cluster by alternating stars. Of a component the line of
+the smallest (doc_id, line number) stays.
 
 Bands that the same lines share are verified once. A band that more than `BUCKET_LINES` lines share, or that
 holds more than `BUCKET_CODES` shingles, is cut into blocks and every two blocks meet in a bucket of their
@@ -25,7 +27,6 @@ gives no rows; extra columns are ignored or, in `dedup_lines`, kept.
 from __future__ import annotations
 
 import hashlib
-import re
 from collections.abc import Iterator
 from itertools import groupby
 
@@ -41,6 +42,8 @@ from .repeats import buckets_of, pack_columns, runs, unpack_columns
 SHINGLE, BANDS, ROWS, THRESHOLD = 5, 16, 5, 0.8
 #: Lines and shingles that one bucket of the verification holds at most (one pair of lines always fits).
 BUCKET_LINES, BUCKET_CODES = 4096, 2 << 20
+#: Bits of 64 in which the sketches of a candidate pair agree at least.
+AGREE = 48
 #: Kinds of packed records: line numbers that go, first occurrences of lines, lines of shared bands, band keys.
 GONE, FIRST, SHARED, KEYS = 1, 2, 3, 4
 #: Band keys that a task gathers before it packs them, and bits of the largest bitmap of wanted lines.
@@ -48,7 +51,8 @@ GATHER, LARGEST_BITMAP = 600_000, 1 << 28
 _RECORD = "bucket int, doc_id long, version long, kind int, packed binary"
 _MARK = "doc_id long, version long, kind int, packed binary"
 _ODD = np.uint64(0x9E3779B97F4A7C15)
-_UNTIDY = re.compile(r"[^\S \n]|  | \n|\n | $|^ ")
+#: White space other than space and line feed.
+_SPACES = [chr(c) for c in range(0x3001) if chr(c).isspace() and chr(c) not in " \n"]
 
 
 def canonical(line: str) -> str:
@@ -58,7 +62,10 @@ def canonical(line: str) -> str:
 def canonical_lines(text: str) -> list[str]:
     """All lines of a text in canonical form; most texts have no white space to tidy."""
     low = text.lower()
-    return [" ".join(line.split()) for line in low.split("\n")] if _UNTIDY.search(low) else low.split("\n")
+    lines = low.split("\n")
+    if "  " in low or " \n" in low or "\n " in low or low[:1] == " " or low[-1:] == " " or any(c in low for c in _SPACES):
+        return [" ".join(line.split()) for line in lines]
+    return lines
 
 
 def line_id(line: str) -> int:
@@ -101,24 +108,33 @@ def shingle_codes(lines: list[str], width: int = SHINGLE) -> tuple[np.ndarray, n
     return code, bounds
 
 
-def min_keys(code: np.ndarray, bounds: np.ndarray, bands: int, rows: int, seed: int) -> np.ndarray:
-    """Band hashes of each set of codes, one column per band."""
+def signature(code: np.ndarray, bounds: np.ndarray, bands: int, rows: int, seed: int, block: int = 1 << 15) -> tuple[np.ndarray, np.ndarray]:
+    """Band hashes of each set of codes, one column per band, and its sketch: a bit each of 64 minima, in turn."""
     code = (code >> np.uint64(32)).astype(np.uint32)
-    out = np.zeros((len(bounds) - 1, bands), np.uint64)
-    rng = np.random.default_rng(seed)
-    held = np.empty_like(code)
+    n = len(bounds) - 1
+    least = np.empty((bands * rows, n), np.uint32)
+    factors = np.random.default_rng(seed).integers(0, 1 << 31, bands * rows).astype(np.uint32) * np.uint32(2) + np.uint32(1)
+    edges = np.unique(np.searchsorted(bounds, [*range(0, int(bounds[-1]), block), int(bounds[-1])]))
+    for a, b in zip(edges[:-1].tolist(), edges[1:].tolist()):  # whole sets, about `block` codes at a time: they stay in the cache
+        part, first = code[bounds[a] : bounds[b]], bounds[a:b] - bounds[a]
+        held = np.empty_like(part)
+        for k, factor in enumerate(factors):
+            np.multiply(part, factor, out=held)
+            np.minimum.reduceat(held, first, out=least[k, a:b])
+    keys, sketch = np.zeros((n, bands), np.uint64), np.zeros(n, np.uint64)
     for band in range(bands):
-        key = np.full(len(out), band + 1, np.uint64)
-        for _ in range(rows):
-            np.multiply(code, np.uint32(int(rng.integers(0, 1 << 31)) * 2 + 1), out=held)
-            key = mix64(key * _ODD ^ np.minimum.reduceat(held, bounds[:-1]))
-        out[:, band] = key
-    return out
+        key = np.full(n, band + 1, np.uint64)
+        for row in range(rows):
+            key = mix64(key * _ODD ^ least[band * rows + row])
+        keys[:, band] = key
+    for k in range(64):
+        sketch |= (least[k % len(least)] * np.uint32(0x9E3779B1 + 2 * (k // len(least))) >> np.uint32(31)).astype(np.uint64) << np.uint64(k)
+    return keys, sketch
 
 
 def band_keys(lines: list[str], bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
     """Band hashes of each line, one column per band."""
-    return min_keys(*shingle_codes(lines), bands, rows, 20)
+    return signature(*shingle_codes(lines), bands, rows, 20)[0]
 
 
 def _step(buckets: int) -> np.uint64:
@@ -133,15 +149,15 @@ def _records(rows: list[tuple], schema: str) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, kinds[k]) for c, (_, k) in zip(columns, fields, strict=True)], [n for n, _ in fields])
 
 
-def _settle(line: np.ndarray, doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> tuple[tuple, tuple]:
+def _settle(line: np.ndarray, doc: np.ndarray, version: np.ndarray, number: np.ndarray, *facts: np.ndarray) -> tuple[tuple, tuple]:
     """First occurrences of lines, and the other ones; occurrences given twice count once."""
     order = np.lexsort((number, version, doc, line))
-    line, doc, version, number = (c[order] for c in (line, doc, version, number))
+    line, doc, version, number, *facts = (c[order] for c in (line, doc, version, number, *facts))
     fresh, same = np.ones(len(line), bool), np.zeros(len(line), bool)
     fresh[1:] = line[1:] != line[:-1]
     same[1:] = ~fresh[1:] & (doc[1:] == doc[:-1]) & (version[1:] == version[:-1]) & (number[1:] == number[:-1])
     first, later = np.flatnonzero(fresh), np.flatnonzero(~(fresh | same))
-    return tuple(c[first] for c in (line, doc, version, number)), tuple(c[later] for c in (doc, version, number))
+    return tuple(c[first] for c in (line, doc, version, number, *facts)), tuple(c[later] for c in (doc, version, number))
 
 
 def _gone_marks(doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> Iterator[tuple[int, int, int, bytes]]:
@@ -152,24 +168,30 @@ def _gone_marks(doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> Ite
         yield int(doc[a]), int(version[a]), GONE, number[a:b].astype("<u4").tobytes()
 
 
-def _pack_firsts(line: np.ndarray, doc: np.ndarray, version: np.ndarray, number: np.ndarray) -> bytes:
-    docs, which = np.unique(np.stack([doc, version], 1), axis=0, return_inverse=True)
-    table = pack_columns([docs[:, 0], docs[:, 1]])
-    return len(table).to_bytes(4, "big") + table + pack_columns([line, which.ravel().astype(np.uint32), number.astype(np.uint32)])
+def _pack_firsts(line: np.ndarray, doc: np.ndarray, version: np.ndarray, number: np.ndarray, sketch: np.ndarray, size: np.ndarray) -> bytes:
+    order = np.lexsort((version, doc))
+    a, b = doc[order], version[order]
+    fresh = np.ones(len(a), bool)
+    fresh[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
+    which = np.empty(len(a), np.uint32)
+    which[order] = np.cumsum(fresh) - 1
+    table = pack_columns([a[fresh], b[fresh]])
+    return len(table).to_bytes(4, "big") + table + pack_columns([line, which, number.astype(np.uint32), sketch, size.astype(np.uint32)])
 
 
-def _unpack_firsts(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    size = int.from_bytes(blob[:4], "big")
-    doc, version = unpack_columns(blob[4 : 4 + size], [np.int64, np.int64])
-    line, which, number = unpack_columns(blob[4 + size :], [np.uint64, np.uint32, np.uint32])
-    return line, doc[which], version[which], number.astype(np.int64)
+def _unpack_firsts(blob: bytes) -> tuple[np.ndarray, ...]:
+    """Line, document, version, number, sketch, size."""
+    at = int.from_bytes(blob[:4], "big")
+    doc, version = unpack_columns(blob[4 : 4 + at], [np.int64, np.int64])
+    line, which, number, sketch, size = unpack_columns(blob[4 + at :], [np.uint64, np.uint32, np.uint32, np.uint64, np.uint32])
+    return line, doc[which], version[which], number.astype(np.int64), sketch, size
 
 
 def _gather(bands: int, rows: int, buckets: int):
     """Packed band keys and first occurrences of each part of a task, by bucket, and the later occurrences in it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sent: set[int] = set()
+        known: dict[int, tuple[int, int]] = {}  # sketch and size of the lines whose keys this task has sent
         places: list[tuple] = []
         entries: list[tuple] = []
 
@@ -179,40 +201,43 @@ def _gather(bands: int, rows: int, buckets: int):
             edges = np.searchsorted(first[0] // _step(buckets), np.arange(buckets + 1, dtype=np.uint64))
             out += [(k, None, None, FIRST, _pack_firsts(*(c[a:b] for c in first))) for k, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
             if entries:
-                key, line, size = (np.concatenate(c) for c in zip(*entries, strict=True))
+                key, line = (np.concatenate(c) for c in zip(*entries, strict=True))
                 order = np.argsort(key, kind="stable")
-                key, line, size = key[order], line[order], size[order]
+                key, line = key[order], line[order]
                 edges = np.searchsorted(key // _step(buckets), np.arange(buckets + 1, dtype=np.uint64))
-                out += [(k, None, None, KEYS, pack_columns([key[a:b], line[a:b], size[a:b]])) for k, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
+                out += [(k, None, None, KEYS, pack_columns([key[a:b], line[a:b]])) for k, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
             places.clear()
             entries.clear()
             return _records(out, _RECORD)
 
         held = 0
         for part in chunks(batches):
-            known: dict[str, int] = {}
+            own: dict[str, int] = {}
             which, counts, numbers = [], [], []
             for text in part.column(2).to_pylist():
                 lines = canonical_lines(text)
                 kept = [at for at, line in enumerate(lines) if line]
-                which += [known.setdefault(lines[at], len(known)) for at in kept]
+                which += [own.setdefault(lines[at], len(own)) for at in kept]
                 counts.append(len(kept))
                 numbers += kept
-            if not known:
+            if not own:
                 continue
-            ids, names = _ids(list(known)), list(known)
-            doc, version = (np.repeat(part.column(k).to_numpy(), counts) for k in (0, 1))
-            places.append((ids[np.array(which)], doc, version, np.array(numbers, np.int64)))
-            own = ids.tolist()
-            fresh = [k for k, i in enumerate(own) if i not in sent]
+            ids, names = _ids(list(own)), list(own)
+            listed = ids.tolist()
+            if len(known) > 300_000:  # bounds memory; keys sent again do no harm
+                known.clear()
+            fresh = [k for k, i in enumerate(listed) if i not in known]
             if fresh:
                 code, bounds = shingle_codes([names[k] for k in fresh])
-                keys = min_keys(code, bounds, bands, rows, 20)
-                entries.append((keys.ravel(), np.repeat(ids[fresh], bands), np.repeat(np.diff(bounds), bands).astype(np.uint32)))
+                keys, sketch = signature(code, bounds, bands, rows, 20)
+                entries.append((keys.ravel(), np.repeat(ids[fresh], bands)))
                 held += keys.size
-                if len(sent) > 300_000:  # bounds memory; keys sent again do no harm
-                    sent.clear()
-                sent.update(own[k] for k in fresh)
+                known.update(zip((listed[k] for k in fresh), zip(sketch.tolist(), np.diff(bounds).tolist(), strict=True), strict=True))
+            facts = [known[i] for i in listed]
+            sketch, size = np.array([f[0] for f in facts], np.uint64), np.array([f[1] for f in facts], np.uint32)
+            doc, version = (np.repeat(part.column(k).to_numpy(), counts) for k in (0, 1))
+            at = np.array(which)
+            places.append((ids[at], doc, version, np.array(numbers, np.int64), sketch[at], size[at]))
             if held > GATHER or sum(len(p[0]) for p in places) > GATHER:
                 yield flush()
                 held = 0
@@ -235,25 +260,51 @@ def blocks_of(size: np.ndarray, lines: int = BUCKET_LINES, codes: int = BUCKET_C
     return block
 
 
-def shared_buckets(key: np.ndarray, line: np.ndarray, size: np.ndarray, lines: int = BUCKET_LINES, codes: int = BUCKET_CODES) -> tuple[np.ndarray, np.ndarray]:
-    """(bucket, line) of the bands that different lines share; equal sets of lines make one bucket."""
-    if not len(key):
-        return key, line
-    order = np.lexsort((line, key))
-    key, line, size = key[order], line[order], size[order]
+def shared(key: np.ndarray, line: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The entries, sorted and each once, whose key different lines have."""
+    ranked = np.sort(key)
+    twice = ranked[1:][ranked[1:] == ranked[:-1]]
+    if not len(twice):
+        return key[:0], line[:0]
+    at = np.searchsorted(twice, key)
+    some = np.flatnonzero(twice[np.minimum(at, len(twice) - 1)] == key)
+    order = some[np.lexsort((line[some], key[some]))]
+    key, line = key[order], line[order]
     fresh = np.concatenate([[True], (key[1:] != key[:-1]) | (line[1:] != line[:-1])])
-    key, line, size = key[fresh], line[fresh], size[fresh]
+    key, line = key[fresh], line[fresh]
     again = np.concatenate([[False], key[1:] == key[:-1]])
     kept = again | np.concatenate([again[1:], [False]])
-    key, line, size = key[kept], line[kept], size[kept]
+    return key[kept], line[kept]
+
+
+def near_members(key: np.ndarray, fact: np.ndarray, near) -> np.ndarray:
+    """Places (entries sorted by key) that have a partner of the same key: `near` judges the xor of their facts.
+
+    Places at distance 1, 2, ... are compared for all keys at once, until all of a key have partners.
+    """
+    kept = np.zeros(len(key), bool)
+    gap = 1
+    while gap < len(key):
+        within = np.flatnonzero(key[gap:] == key[:-gap])
+        if not len(within):
+            break
+        open_ = within[~(kept[within] & kept[within + gap])]
+        found = open_[near(fact[open_] ^ fact[open_ + gap])]
+        kept[found] = kept[found + gap] = True
+        gap += 1
+    return np.flatnonzero(kept)
+
+
+def verification_buckets(key: np.ndarray, line: np.ndarray, size: np.ndarray, lines: int = BUCKET_LINES, codes: int = BUCKET_CODES) -> tuple[np.ndarray, np.ndarray]:
+    """(bucket, line) from entries sorted by key; equal sets of lines make one bucket, large ones are cut."""
     if not len(key):
         return key, line
     first, stop = runs(key)
     count, weight = stop - first, np.add.reduceat(size.astype(np.int64), first)
     bucket = mix64(np.add.reduceat(mix64(line), first) ^ count.astype(np.uint64))
-    _, one = np.unique(bucket, return_index=True)
     chosen = np.zeros(len(bucket), bool)
-    chosen[one] = True
+    chosen[np.unique(bucket, return_index=True)[1]] = True
+    chosen &= count > 1
     plain = chosen & (count <= lines) & (weight <= codes)
     out = [(np.repeat(bucket[plain], count[plain]), line[np.repeat(plain, count)])]
     for k in np.flatnonzero(chosen & ~plain):
@@ -266,6 +317,28 @@ def shared_buckets(key: np.ndarray, line: np.ndarray, size: np.ndarray, lines: i
     return tuple(np.concatenate(c) for c in zip(*out, strict=True))
 
 
+def meeting(near):
+    """(home, key, id) of the buckets to verify, from rows (key, id, fact, size) that are partitioned by key.
+
+    The home of a bucket is its least line: buckets of one home share most of their lines and are verified together.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [tuple(c.to_numpy().view(np.uint64) for c in b.columns) for b in batches]
+        if parts:
+            key, line, fact, size = (np.concatenate(c) for c in zip(*parts, strict=True))
+            order = np.lexsort((line, fact, key))
+            order = order[near_members(key[order], fact[order], near)]
+            order = order[np.lexsort((line[order], key[order]))]
+            key, line = verification_buckets(key[order], line[order], size[order])
+            first, stop = runs(key)
+            home = np.repeat(np.minimum.reduceat(line, first), stop - first) if len(key) else line
+            yield pa.RecordBatch.from_arrays([pa.array(c.view(np.int64)) for c in (home, key, line)], ["home", "key", "id"])
+        release_memory()
+
+    return run
+
+
 def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Marks of each bucket of packed records."""
     firsts: dict[int, list[bytes]] = {}
@@ -283,10 +356,10 @@ def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         first, later = _settle(*(np.concatenate(c) for c in zip(*(_unpack_firsts(b) for b in firsts.pop(bucket)), strict=True)))
         yield _records([*_gone_marks(*later), (None, None, FIRST, _pack_firsts(*first))], _MARK)
     for bucket in sorted(keys):
-        parts = [unpack_columns(b, [np.uint64, np.uint64, np.uint32]) for b in keys.pop(bucket)]
-        shared, line = shared_buckets(*(np.concatenate(c) for c in zip(*parts, strict=True)))
-        if len(shared):
-            yield _records([(None, None, SHARED, pack_columns([shared, line]))], _MARK)
+        parts = [unpack_columns(b, [np.uint64, np.uint64]) for b in keys.pop(bucket)]
+        key, line = shared(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+        if len(key):
+            yield _records([(None, None, SHARED, pack_columns([key, line]))], _MARK)
     release_memory()
 
 
@@ -325,11 +398,11 @@ def _selected(ids: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
     return np.flatnonzero(bitmap[slot >> 3] >> (7 - (slot & 7)).astype(np.uint8) & 1)
 
 
-def _wanted_texts(shared, bits: int):
+def _wanted_texts(sent):
     """(id, canonical text) of the lines that the bitmap selects, once for each part of a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bitmap = np.frombuffer(shared.value, np.uint8)
+        bitmap, bits = np.frombuffer(sent.value[0], np.uint8), sent.value[1]
         for part in chunks(batches):
             lines = list({line for text in part.column(0).to_pylist() for line in canonical_lines(text) if line})
             ids = _ids(lines)
@@ -340,14 +413,20 @@ def _wanted_texts(shared, bits: int):
     return run
 
 
-def _wanted_firsts(shared, bits: int):
+def _firsts(sent, sketches: bool):
+    """(id, sketch, size) or (id, doc_id, version, line) of the first occurrences that the bitmap selects."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bitmap = np.frombuffer(shared.value, np.uint8)
+        bitmap, bits = np.frombuffer(sent.value[0], np.uint8), sent.value[1]
         for batch in batches:
             for blob in batch.column(0).to_pylist():
-                line, doc, version, number = _unpack_firsts(blob)
+                line, doc, version, number, sketch, size = _unpack_firsts(blob)
                 at = _selected(line, bitmap, bits)
-                yield pa.RecordBatch.from_arrays([pa.array(line[at].view(np.int64)), pa.array(doc[at]), pa.array(version[at]), pa.array(number[at].astype(np.int32))], ["id", "doc_id", "version", "line"])
+                own = pa.array(line[at].view(np.int64))
+                if sketches:
+                    yield pa.RecordBatch.from_arrays([own, pa.array(sketch[at].view(np.int64)), pa.array(size[at].astype(np.int64))], ["id", "sketch", "size"])
+                else:
+                    yield pa.RecordBatch.from_arrays([own, pa.array(doc[at]), pa.array(version[at]), pa.array(number[at].astype(np.int32))], ["id", "doc_id", "version", "line"])
 
     return run
 
@@ -355,7 +434,8 @@ def _wanted_firsts(shared, bits: int):
 def sorted_sets(code: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The distinct codes (of 44 bits) of each set, in order, and n+1 bounds; up to 2**20 sets."""
     owner = np.repeat(np.arange(len(bounds) - 1, dtype=np.uint64), np.diff(bounds))
-    both = np.unique(owner << np.uint64(44) | code >> np.uint64(20))
+    both = np.sort(owner << np.uint64(44) | code >> np.uint64(20))
+    both = both[np.concatenate([[True], both[1:] != both[:-1]])] if len(both) else both
     return both & np.uint64((1 << 44) - 1), np.searchsorted(both >> np.uint64(44), np.arange(len(bounds), dtype=np.uint64))
 
 
@@ -408,7 +488,7 @@ def set_links(bucket: np.ndarray, member: np.ndarray, code: np.ndarray, bounds:
 
 
 def _verify(threshold: float, coded, step: int = 2000):
-    """Links among the rows (key, id, text), sorted by key, of a task; `coded` gives the texts' shingle codes."""
+    """Links among the rows (home, key, id, text), sorted by home and key, of a task; `coded` gives texts' shingle codes."""
 
     def check(waiting: list[tuple[int, list[tuple[int, str]]]]) -> pa.RecordBatch:
         texts = {line: text for _, members in waiting for line, text in members}
@@ -421,16 +501,17 @@ def _verify(threshold: float, coded, step: int = 2000):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = (r for b in batches for at in range(0, b.num_rows, 500) for r in zip(*(c.to_pylist() for c in b.slice(at, 500).columns), strict=True))
-        waiting, held, weight = [], 0, 0
-        for key, group in groupby(rows, key=lambda r: r[0]):
-            members = [(line, text) for _, line, text in group]
+        waiting, held, weight, last = [], 0, 0, None
+        for (home, key), group in groupby(rows, key=lambda r: r[:2]):
+            members = [(line, text) for _, _, line, text in group]
             own = sum(len(text) for _, text in members)
-            if waiting and (held + len(members) > step or weight + own > 1 << 20):
+            most = step if home != last else 2 * step  # buckets of one home stay together if they can
+            if waiting and (held + len(members) > most or weight + own > most << 8):
                 if (found := check(waiting)) is not None:
                     yield found
                 waiting, held, weight = [], 0, 0
             waiting.append((key, members))
-            held, weight = held + len(members), weight + own
+            held, weight, last = held + len(members), weight + own, home
         if waiting and (found := check(waiting)) is not None:
             yield found
         release_memory()
@@ -449,16 +530,19 @@ def removed_lines(docs: DataFrame, *, threshold: float = THRESHOLD, bands: int =
     tasks, buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8), buckets_of(docs)
     own = _own(docs).where("doc_id IS NOT NULL")
     marks = written(own.mapInArrow(_gather(bands, rows, buckets), _RECORD).repartitionById(buckets, "bucket").mapInArrow(_judge, _MARK), "line-marks")
-    shared = marks.where(F.col("kind") == SHARED).select("packed").mapInArrow(_unpack_shared, "key long, id long")
-    candidates = written(shared.distinct(), "line-candidates")
-    bitmap, bits = bitmap_of(candidates.select("id"))
-    sent = spark.sparkContext.broadcast(bitmap)  # of LARGEST_BITMAP bits at most
-    texts = own.select("text").mapInArrow(_wanted_texts(sent, bits), "id long, plain string").dropDuplicates(["id"])
-    placed = candidates.join(texts, "id").select("key", "id", "plain").repartition(tasks, "key").sortWithinPartitions("key")
+    firsts = marks.where(F.col("kind") == FIRST).select("packed")
+    entries = written(marks.where(F.col("kind") == SHARED).select("packed").mapInArrow(_unpack_shared, "key long, id long"), "line-entries")
+    meets = spark.sparkContext.broadcast(bitmap_of(entries.select("id")))  # of LARGEST_BITMAP bits at most, like the next one
+    sketched = entries.join(firsts.mapInArrow(_firsts(meets, True), "id long, sketch long, size long"), "id").select("key", "id", "sketch", "size")
+    agree = lambda differing: np.bitwise_count(differing) <= 64 - AGREE
+    candidates = written(sketched.repartition(tasks, "key").mapInArrow(meeting(agree), "home long, key long, id long").distinct(), "line-candidates")
+    sent = spark.sparkContext.broadcast(bitmap_of(candidates.select("id")))
+    texts = own.select("text").mapInArrow(_wanted_texts(sent), "id long, plain string").dropDuplicates(["id"])
+    placed = candidates.join(texts, "id").select("home", "key", "id", "plain").repartition(tasks, "home").sortWithinPartitions("home", "key")
     roots = connected_components(placed.mapInArrow(_verify(threshold, shingle_codes), "lo long, hi long"), "line-components")
     members = roots.select(F.col("node").alias("id"), "root").unionByName(roots.select(F.col("root").alias("id"), "root").distinct())
-    firsts = marks.where(F.col("kind") == FIRST).select("packed").mapInArrow(_wanted_firsts(sent, bits), "id long, doc_id long, version long, line int")
-    grouped = written(members.join(firsts, "id").select("root", F.struct("doc_id", "version", "line").alias("place")), "line-groups")
+    places = firsts.mapInArrow(_firsts(sent, False), "id long, doc_id long, version long, line int")
+    grouped = written(members.join(places, "id").select("root", F.struct("doc_id", "version", "line").alias("place")), "line-groups")
     keepers = grouped.groupBy(F.col("root").alias("of")).agg(F.min("place").alias("keeper"))
     fuzzy = grouped.join(keepers, F.col("root") == F.col("of")).where("place != keeper").select("place.doc_id", "place.version", "place.line")
     exact = marks.where(F.col("kind") == GONE).select("doc_id", "version", "packed").mapInArrow(_numbers, "doc_id long, version long, line int")

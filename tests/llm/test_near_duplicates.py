@@ -144,7 +144,7 @@ def test_a_bucket_of_many_lines_stays_within_its_memory():
     """20,000 similar lines meet in blocks; each bucket holds at most `BUCKET_LINES`, every pair shares one."""
     n = 20_000
     line, key = np.arange(1, n + 1).astype(np.uint64), np.full(n, 7, np.uint64)
-    bucket, member = line_dedup.shared_buckets(key, line, np.full(n, 100, np.uint32))
+    bucket, member = line_dedup.verification_buckets(*line_dedup.shared(key, line), np.full(n, 100, np.uint32))
     sizes = np.unique(bucket, return_counts=True)[1]
     assert sizes.max() <= line_dedup.BUCKET_LINES and len(member) <= 10 * n
     together = np.zeros((n // 100, n // 100), bool)
