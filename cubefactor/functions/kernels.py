@@ -10,6 +10,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans import planner
+
 
 def product(columns: list[Column]) -> Column:
     return reduce(lambda a, b: a * b, columns, F.lit(1.0)) if columns else F.lit(1.0)
@@ -30,13 +32,33 @@ def predict_expr(names: list[str], width: int) -> Column:
     return reduce(lambda a, b: a + b, component_products([F.col(c) for c in names], width))
 
 
-def attach(cells: DataFrame, slices: list[DataFrame], prefix: str = "a", broadcast: bool = True, modes: list[int] | None = None) -> DataFrame:
-    """Cells with the slice array of each mode as `prefix`n. Slices hold (idx, a); missing rows leave null."""
+def attach(cells: DataFrame, slices: list[DataFrame], prefix: str = "a", broadcast: bool | int = True, modes: list[int] | None = None) -> DataFrame:
+    """Cells with the slice array of each mode as `prefix`n. Slices hold (idx, a); missing rows leave null.
+
+    A number above one as `broadcast` cuts each slice into so many tiles, broadcast one by one: the cells stay
+    where they are although the slice as a whole is too large for one broadcast.
+    """
     for n, part in enumerate(slices, 1):
         if modes is not None and n not in modes:
             continue
-        side = part.select(F.col("idx").alias(f"_{prefix}{n}"), F.col("a").alias(f"{prefix}{n}"))
-        cells = cells.join(F.broadcast(side) if broadcast else side, F.col(f"i{n}") == F.col(f"_{prefix}{n}"), "left").drop(f"_{prefix}{n}")
+        name, at = f"{prefix}{n}", f"_{prefix}{n}"
+        if broadcast is True or not broadcast or broadcast == 1:
+            side = part.select(F.col("idx").alias(at), F.col("a").alias(name))
+            cells = cells.join(F.broadcast(side) if broadcast else side, F.col(f"i{n}") == F.col(at), "left").drop(at)
+            continue
+        tiles = [f"_{name}_{t}" for t in range(broadcast)]
+        for t, tile in enumerate(tiles):
+            side = part.where(F.pmod("idx", F.lit(broadcast)) == t).select(F.col("idx").alias(at), F.col("a").alias(tile))
+            cells = cells.join(F.broadcast(side), F.col(f"i{n}") == F.col(at), "left").drop(at)
+        cells = cells.withColumn(name, F.coalesce(*tiles)).drop(*tiles)
+    return cells
+
+
+def attach_checked(cells: DataFrame, slices: list[DataFrame], prefix: str, width: int, dims: list[int], modes: list[int] | None = None) -> DataFrame:
+    """The same, each slice broadcast only where its size is within the limit, else joined with a shuffle."""
+    for n, length in enumerate(dims, 1):
+        if modes is None or n in modes:
+            cells = attach(cells, slices, prefix, planner.fits_broadcast(length, width + 1), [n])
     return cells
 
 

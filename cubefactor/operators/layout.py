@@ -2,46 +2,68 @@
 
 from __future__ import annotations
 
-import heapq
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
+from ..plans import planner
 from .tensor import TensorFrame, mode_counts, portable
 
 
+def block(idx: Column, length: Column | int, machines: int) -> Column:
+    """The range that an index lies in, of `machines` ranges that differ by one row at most: none is empty
+    unless there are fewer rows than machines."""
+    size = F.lit(length) if isinstance(length, int) else length
+    return F.floor(((idx + 1) * machines - 1) / size).cast("int")
+
+
+def lengths(dims: list[int], mode: str = "mode") -> Column:
+    return F.element_at(F.array(*map(F.lit, dims)), F.col(mode))
+
+
 def assign_sequential(counts: DataFrame, dims: list[int], machines: int) -> DataFrame:
-    """(mode, idx, machine, nnz): contiguous ranges of equal length."""
-    length = F.element_at(F.array(*map(F.lit, dims)), F.col("mode"))
-    return counts.select("mode", "idx", F.floor(F.col("idx") / F.ceil(length / F.lit(machines))).cast("int").alias("machine"), "nnz")
+    """(mode, idx, machine, nnz): contiguous ranges of rows, equal but for one row."""
+    return counts.select("mode", "idx", block(F.col("idx"), lengths(dims), machines).alias("machine"), "nnz")
 
 
 def assign_random(counts: DataFrame, dims: list[int], machines: int, seed: int = 42) -> DataFrame:
-    """(mode, idx, machine, nnz): a portable hash of the row."""
-    place = F.floor(portable(F.col("idx"), 0, 0, seed) * machines).cast("int")
-    return counts.select("mode", "idx", place.alias("machine"), "nnz")
+    """(mode, idx, machine, nnz): a hash of the row, another one in each mode."""
+    place = reduce(lambda other, n: F.when(F.col("mode") == n, portable(F.col("idx"), n, 0, seed)).otherwise(other), range(1, len(dims) + 1), F.lit(0.0))
+    return counts.select("mode", "idx", F.floor(place * machines).cast("int").alias("machine"), "nnz")
 
 
 def greedy_classes(classes: list[tuple[int, int]], machines: int, capacity: int, overall: list[int]) -> list[tuple[int, int, int]]:
     """(nnz, machine, how many) for rows grouped by equal counts, heaviest class first.
 
     Each row goes to the machine of least load that has room; ties go to fewer rows, then to the smaller load
-    over all modes so far, then to the smaller number. Equal rows are interchangeable, so a class is placed
-    as a whole and the driver holds the histogram of counts only.
+    over all modes so far, then to the smaller number. Equal rows are interchangeable, so a class is placed as
+    a whole: a machine takes its rows at loads that grow by the class's weight, and the least of those loads
+    over all machines are found by halving. A class costs the logarithm of its size, not its size.
     """
-    heap = [(0, 0, overall[m], m) for m in range(machines)]
-    heapq.heapify(heap)
-    out: dict[tuple[int, int], int] = {}
+    load, held, total = np.zeros(machines, np.int64), np.zeros(machines, np.int64), np.array(overall, np.int64)
+    out = []
     for weight, rows in sorted(classes, reverse=True):
-        for _ in range(rows):
-            load, held, total, m = heapq.heappop(heap)
-            out[weight, m] = out.get((weight, m), 0) + 1
-            overall[m] = total + weight
-            if held + 1 < capacity:
-                heapq.heappush(heap, (load + weight, held + 1, total + weight, m))
-    return [(w, m, n) for (w, m), n in sorted(out.items(), key=lambda x: (-x[0][0], x[0][1]))]
+        room = capacity - held
+        below = lambda level: np.clip(-(-(level - load) // weight), 0, room)  # noqa: B023, E731 - rows taken at loads under the level
+        low, high = 0, int(load.max()) + weight * (rows + 1)
+        while low < high:  # the highest level with no more rows than there are
+            middle = (low + high + 1) // 2
+            low, high = (middle, high) if below(middle).sum() <= rows else (low, middle - 1)
+        taken = below(low)
+        left = rows - int(taken.sum())
+        if left:  # some of the machines that stand at the level itself
+            at_level = np.flatnonzero((load + taken * weight == low) & (taken < room))
+            ranked = at_level[np.lexsort((at_level, (total + taken * weight)[at_level], (held + taken)[at_level]))]
+            taken[ranked[:left]] += 1
+        load += taken * weight
+        held += taken
+        total += taken * weight
+        out += [(weight, int(m), int(taken[m])) for m in np.flatnonzero(taken)]
+    overall[:] = total.tolist()
+    return out
 
 
 def assign_greedy(counts: DataFrame, dims: list[int], machines: int) -> DataFrame:
@@ -63,7 +85,7 @@ def assign_greedy(counts: DataFrame, dims: list[int], machines: int) -> DataFram
     places = spark.createDataFrame(plan, "pmode int, weight long, machine int, first long, stop long")
     ranked = ranked_in_class(counts)
     hit = (F.col("mode") == F.col("pmode")) & (F.col("nnz") == F.col("weight")) & (F.col("at") >= F.col("first")) & (F.col("at") < F.col("stop"))
-    return ranked.join(F.broadcast(places), hit).select("mode", "idx", "machine", "nnz")
+    return ranked.join(F.broadcast(places) if planner.fits_broadcast(len(plan), 5) else places, hit).select("mode", "idx", "machine", "nnz")
 
 
 def ranked_in_class(counts: DataFrame, width: int = 1 << 16) -> DataFrame:
@@ -100,13 +122,20 @@ def balance(assigned: DataFrame, machines: int) -> DataFrame:
     return loads.groupBy("mode").agg(F.max("cells").cast("long").alias("max_cells"), mean.alias("mean_cells"), F.max("rows").cast("long").alias("max_rows"), (F.max("cells") / mean).alias("ratio"))
 
 
-def distribute(cells: DataFrame, assigned: DataFrame, mode: int, machines: int, broadcast: bool = True) -> DataFrame:
+def owners(cells: DataFrame, assigned: DataFrame, mode: int, name: str, length: int) -> DataFrame:
+    """Cells with the machine that owns their row of a mode; a long mode's owners are joined by a shuffle."""
+    side = assigned.where(F.col("mode") == mode).select(F.col("idx").alias("_idx"), F.col("machine").alias(name))
+    return cells.join(F.broadcast(side) if planner.fits_broadcast(length, 2) else side, F.col(f"i{mode}") == F.col("_idx")).drop("_idx")
+
+
+def distribute(cells: DataFrame, assigned: DataFrame, mode: int, machines: int, length: int | None = None) -> DataFrame:
     """The copy of the cells for a mode: each machine's partition holds the cells of its rows, sorted by row, on disk.
 
     The partition of a row is its machine itself, so a grouping by (machine, row) needs no further shuffle.
+    `length` is the mode's length, counted if it isn't given: it decides how the owners are joined.
     """
-    owners = assigned.where(F.col("mode") == mode).select(F.col("idx").alias("_idx"), "machine")
-    placed = cells.join(F.broadcast(owners) if broadcast else owners, F.col(f"i{mode}") == F.col("_idx")).drop("_idx")
+    rows = assigned.where(F.col("mode") == mode).count() if length is None else length
+    placed = owners(cells, assigned, mode, "machine", rows)
     return placed.repartitionById(machines, "machine").sortWithinPartitions(f"i{mode}").persist(StorageLevel.DISK_ONLY)
 
 
@@ -115,14 +144,14 @@ def mode_copy_sizes(tensor: TensorFrame, assigned: DataFrame) -> DataFrame:
     return assigned.groupBy("mode", "machine").agg(F.sum("nnz").cast("long").alias("cells"))
 
 
-def block(idx: Column, length: int, machines: int) -> Column:
-    return F.floor(idx / F.ceil(F.lit(length) / F.lit(machines))).cast("int")
+def with_blocks(tensor: TensorFrame, machines: int, assigned: DataFrame | None = None) -> DataFrame:
+    """Cells with their block per mode and their stratum: the shifts of the other modes' blocks against mode 1's.
 
-
-def with_blocks(tensor: TensorFrame, machines: int) -> DataFrame:
-    """Cells with their block per mode and their stratum: the shifts of the other modes' blocks against mode 1's."""
-    blocks = [block(F.col(m), d, machines).alias(f"b{n}") for n, (m, d) in enumerate(zip(tensor.modes, tensor.dims, strict=True), 1)]
-    cells = tensor.cells.select("*", *blocks)
+    Blocks are the machines that own the rows where an assignment is given, else equal ranges.
+    """
+    cells = tensor.cells
+    for n, (m, d) in enumerate(zip(tensor.modes, tensor.dims, strict=True), 1):
+        cells = cells.withColumn(f"b{n}", block(F.col(m), d, machines)) if assigned is None else owners(cells, assigned, n, f"b{n}", d)
     digits = [F.pmod(F.col(f"b{n}") - F.col("b1"), F.lit(machines)) for n in range(2, tensor.n_modes + 1)]
     return cells.withColumn("stratum", reduce(lambda a, b: a * machines + b, digits, F.lit(0)).cast("long"))
 

@@ -28,10 +28,12 @@ def ship_package(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a local folder where the session sets none."""
+    """spark.checkpoint.dir, or a local folder where a session on one machine sets none."""
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if configured:
         return configured
+    if not spark.sparkContext.master.startswith("local["):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     fallback = os.path.join(tempfile.gettempdir(), "cubefactor-checkpoints")
     os.makedirs(fallback, exist_ok=True)
     return f"file://{fallback}"

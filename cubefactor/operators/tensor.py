@@ -10,17 +10,34 @@ from pyspark.sql import functions as F
 
 from .lineage import written
 
-#: Modulus and factors of the portable hash that splits, seeds and plants (fixed values; same in any SQL).
-P, A, B, C, D = 1009, 571, 373, 197, 89
+#: Modulus (a prime under 2**31, so that products stay in 64 bits) and factors of the portable hash (fixed values).
+P, A, B, C, D = 2_147_483_647, 48_271, 1_583_458_089, 784_588_716, 1_226_874_159
+#: Factors of the modes' indices in the hash of a tuple (fixed values).
+TUPLE = (48_271, 69_621, 630_360_016, 742_938_285, 950_706_376, 1_226_874_159, 62_089_911)
+
+
+def _shift(mode: int, component: int, seed: int) -> int:
+    return (mode * B + component * C + seed * D) % P
+
+
+def _cubed(value: Column) -> Column:
+    """A cubic polynomial modulo P: consecutive values land apart, and nothing repeats before P."""
+    return F.pmod(value * F.pmod(value * value + C, F.lit(P)), F.lit(P))
+
+
+def _cubed_sql(value: str) -> str:
+    return f"list_transform([{value}], lambda y: (y * ((y * y + {C}) % {P})) % {P})[1]"
 
 
 def portable(idx: Column, mode: int, component: int = 0, seed: int = 42) -> Column:
-    """A double in [0, 1) from integer arithmetic alone, so that other engines get the same."""
-    return F.pmod(idx * A + F.lit(mode * B + component * C + seed * D) + F.pmod(idx * idx, F.lit(P)) * (component + 3), F.lit(P)).cast("double") / F.lit(float(P))
+    """A double in [0, 1) from integer arithmetic alone, so that other engines get the same; its period is P."""
+    y = F.pmod(F.pmod(idx.cast("long"), F.lit(P)) * A + F.lit(_shift(mode, component, seed)), F.lit(P))
+    return _cubed(y).cast("double") / F.lit(float(P))
 
 
 def portable_sql(idx: str, mode: int, component: int = 0, seed: int = 42) -> str:
-    return f"CAST(({idx} * {A} + {mode * B + component * C + seed * D} + (({idx} * {idx}) % {P}) * {component + 3}) % {P} AS DOUBLE) / {float(P)}"
+    y = f"((CAST({idx} AS BIGINT) % {P}) * {A} + {_shift(mode, component, seed)}) % {P}"
+    return f"CAST({_cubed_sql(y)} AS DOUBLE) / {float(P)}"
 
 
 @dataclass
@@ -108,13 +125,13 @@ def mode_counts(tensor: TensorFrame) -> DataFrame:
 
 def held_out(tensor: TensorFrame, share: int = 10) -> Column:
     """True for one of `share` cells, by a portable hash of the tuple."""
-    total = reduce(lambda a, b: a + b, [F.col(m) * f for m, f in zip(tensor.modes, (A, B, C, D, 53, 31, 17), strict=False)])
-    return F.pmod(F.pmod(total, F.lit(P)) * 7, F.lit(share)) == 0
+    total = reduce(lambda a, b: a + b, [F.pmod(F.col(m) * f, F.lit(P)) for m, f in zip(tensor.modes, TUPLE, strict=False)])
+    return F.pmod(_cubed(F.pmod(total, F.lit(P))), F.lit(share)) == 0
 
 
 def held_out_sql(modes: list[str], share: int = 10) -> str:
-    total = " + ".join(f"{m} * {f}" for m, f in zip(modes, (A, B, C, D, 53, 31, 17), strict=False))
-    return f"((({total}) % {P}) * 7) % {share} = 0"
+    total = " + ".join(f"(CAST({m} AS BIGINT) * {f}) % {P}" for m, f in zip(modes, TUPLE, strict=False))
+    return f"({_cubed_sql(f'({total}) % {P}')}) % {share} = 0"
 
 
 def split(tensor: TensorFrame, share: int = 10) -> tuple[TensorFrame, DataFrame]:

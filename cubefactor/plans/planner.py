@@ -5,6 +5,17 @@ from __future__ import annotations
 MB = 1 << 20
 #: Sums of a generated aggregation stay below Spark's codegen field limit up to this width.
 WIDEST_SQL = 12
+#: Largest table of numbers that is broadcast as a whole, all tiles of a slice together, and what the driver may hold.
+BROADCAST_MB, TILES_MB, DRIVER_MB = 256, 4096, 1024
+
+
+def fits_broadcast(rows: int, numbers: int, limit_mb: int = BROADCAST_MB) -> bool:
+    """Whether so many rows of so many 8-byte numbers may be broadcast."""
+    return 8 * rows * numbers <= limit_mb * MB
+
+
+def fits_driver(rows: int, numbers: int, limit_mb: int = DRIVER_MB) -> bool:
+    return 8 * rows * numbers <= limit_mb * MB
 
 
 def choose_kernel(width: int, kernel: str = "auto") -> str:
@@ -12,13 +23,19 @@ def choose_kernel(width: int, kernel: str = "auto") -> str:
     return ("sql" if width <= WIDEST_SQL else "arrow") if kernel == "auto" else kernel
 
 
-def choose_exchange(dims: list[int], width: int, exchange: str = "auto", driver_mb: int = 16, broadcast_mb: int = 256) -> str:
-    """How updated rows reach all machines: through the driver while small, as a written table that joins read,
-    broadcast up to `broadcast_mb`, else joined with a shuffle."""
+def choose_exchange(dims: list[int], width: int, exchange: str = "auto", driver_mb: int = 16, broadcast_mb: int = BROADCAST_MB, tiles_mb: int = TILES_MB) -> str:
+    """How updated rows reach all machines: through the driver while small, as a written table that is broadcast up
+    to `broadcast_mb`, in several broadcast tiles up to `tiles_mb` (what a machine must hold of a group's slices),
+    else joined with a shuffle. Only the last one moves cells."""
     if exchange != "auto":
         return exchange
     size = 8 * width * sum(dims)
-    return "broadcast" if size <= driver_mb * MB else "dfs" if size <= broadcast_mb * MB else "join"
+    return "broadcast" if size <= driver_mb * MB else "dfs" if size <= broadcast_mb * MB else "tiles" if size <= tiles_mb * MB else "join"
+
+
+def tile_count(dims: list[int], width: int, limit_mb: int = BROADCAST_MB) -> int:
+    """Tiles that keep each broadcast of the longest mode's slice within the limit; two at least."""
+    return max(2, -(-8 * (width + 1) * max(dims) // (limit_mb * MB)))
 
 
 def choose_storage(cells: int, dims: list[int], machines: int, disk_bytes: float = float("inf"), storage: str = "auto") -> str:

@@ -144,7 +144,7 @@ def sgd_single_cell_per_block(spark, sf):
 
 
 QUERIES["sgd_single_cell_per_block"] = sgd_single_cell_per_block
-_BLOCK = [f"CAST(floor(i{n} / ceil((SELECT max(i{n}) + 1 FROM cells) / CAST(2 AS DOUBLE))) AS INT)" for n in (1, 2, 3)]
+_BLOCK = [f"CASE WHEN (i{n} + 1) * 2 <= (SELECT max(i{n}) + 1 FROM cells) THEN 0 ELSE 1 END" for n in (1, 2, 3)]
 _V = {(n, k): f"({portable_sql(f'i{n}', n, k)})" for n in (1, 2, 3) for k in (0, 1)}
 ORACLE_SQL["sgd_single_cell_per_block"] = (
     f"WITH cells AS MATERIALIZED ({cells_sql('events3')}), b AS (SELECT *, {_BLOCK[0]} AS b1, {_BLOCK[1]} AS b2, {_BLOCK[2]} AS b3 FROM cells), f AS (SELECT i1, i2, i3, x, x - ({_products(42, 2)}) AS e FROM b WHERE b1 = b2 AND b2 = b3 QUALIFY row_number() OVER (PARTITION BY b1 ORDER BY i1, i2, i3) = 1) "

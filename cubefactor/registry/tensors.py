@@ -98,11 +98,14 @@ def _counted(name: str) -> str:
 
 
 def sequential_sql(machines: int) -> str:
-    return f"SELECT c.mode, idx, CAST(floor(idx / ceil(length / CAST({machines} AS DOUBLE))) AS INT) AS machine, nnz FROM counts c JOIN dims d ON c.mode = d.mode"
+    """Machine m, from 1, has the rows i, from 1, with length * (m - 1) / machines < i <= length * m / machines."""
+    inside = f"length * (m - 1) < (idx + 1) * {machines} AND (idx + 1) * {machines} <= length * m"
+    return f"SELECT c.mode, idx, CAST(m - 1 AS INT) AS machine, nnz FROM counts c JOIN dims d ON c.mode = d.mode JOIN range(1, {machines + 1}) r(m) ON {inside}"
 
 
 def random_sql(machines: int) -> str:
-    return f"SELECT mode, idx, CAST(floor(({portable_sql('idx', 0, 0, 42)}) * {machines}) AS INT) AS machine, nnz FROM counts"
+    place = " ".join(f"WHEN {n} THEN {portable_sql('idx', n, 0, 42)}" for n in range(1, 6))
+    return f"SELECT mode, idx, CAST(floor((CASE mode {place} END) * {machines}) AS INT) AS machine, nnz FROM counts"
 
 
 def greedy_steps(machines: int) -> str:
@@ -161,5 +164,6 @@ def strata_schedule(spark, sf):
 QUERIES["strata_schedule"] = strata_schedule
 ORACLE_SQL["strata_schedule"] = " UNION ALL ".join(f"SELECT {m} AS machines, s AS stratum, CAST(b AS INT) AS m, CAST(b AS INT) AS b1, CAST((b + s // {m}) % {m} AS INT) AS b2, CAST((b + s % {m}) % {m} AS INT) AS b3 FROM range({m * m}) a(s), range({m}) c(b)" for m in (2, 3))
 QUERIES["strata_cells"] = lambda spark, sf: layout.with_blocks(tensor(spark, sf, "events3"), 2).groupBy("stratum", "b1", "b2", "b3").agg(F.count("*").alias("cells"))
-_B = [f"CAST(floor(i{n} / ceil((SELECT max(i{n}) + 1 FROM cells) / CAST(2 AS DOUBLE))) AS INT)" for n in (1, 2, 3)]
+#: Of two machines the first has the rows i, from 1, with i <= length / 2.
+_B = [f"CASE WHEN (i{n} + 1) * 2 <= (SELECT max(i{n}) + 1 FROM cells) THEN 0 ELSE 1 END" for n in (1, 2, 3)]
 ORACLE_SQL["strata_cells"] = f"WITH cells AS MATERIALIZED ({cells_sql('events3')}), blocks AS (SELECT {_B[0]} AS b1, {_B[1]} AS b2, {_B[2]} AS b3 FROM cells) SELECT CAST(((b2 - b1 + 2) % 2) * 2 + (b3 - b1 + 2) % 2 AS BIGINT) AS stratum, b1, b2, b3, count(*) AS cells FROM blocks GROUP BY ALL"

@@ -19,7 +19,7 @@ from ..functions import kernels
 from ..functions.init import start_slice
 from ..model import FactorModel
 from ..operators.exchange import all_rows, publish
-from ..operators.layout import assign, distribute
+from ..operators.layout import assign, distribute, owners
 from ..operators.lineage import written
 from ..operators.tensor import TensorFrame
 from ..plans import planner
@@ -39,6 +39,7 @@ class SubsetALS(Solver):
     kernel: str = "auto"
     checkpoint_every: int = 5
     fused: bool = False
+    tiles: int = 0
 
     method = "subset_als"
 
@@ -56,13 +57,23 @@ class SubsetALS(Solver):
     def _place(self, cells: DataFrame, tensor: TensorFrame, assigned: DataFrame | None, storage: str) -> list[DataFrame]:
         """A frame of cells per mode: copies, one shared copy, or the written cells that every step deals out again."""
         if storage == "mode_copies":
-            return [distribute(cells, assigned, n, self.machines) for n in range(1, tensor.n_modes + 1)]
+            return [distribute(cells, assigned, n, self.machines, tensor.dims[n - 1]) for n in range(1, tensor.n_modes + 1)]
         if storage == "single":
             one = cells.repartition(self.machines, *tensor.modes).persist(StorageLevel.DISK_ONLY)
             return [one] * tensor.n_modes
         return [cells] * tensor.n_modes
 
-    def _solve_mode(self, placed: DataFrame, mode: int, slices: list[DataFrame], old: list[DataFrame] | None, width: int, storage: str, small: bool) -> DataFrame:
+    def _dealt(self, placed: DataFrame, assigned: DataFrame | None, mode: int, length: int, storage: str) -> DataFrame:
+        """The cells as a step of a mode reads them: without caching, every step sends them to their rows' owners anew."""
+        if storage != "none":
+            return placed
+        return owners(placed, assigned, mode, "machine", length).repartitionById(self.machines, "machine")
+
+    def _spread(self, exchange: str, dims: list[int], width: int) -> bool | int:
+        """How slices are joined: broadcast, in so many tiles, or by a shuffle."""
+        return (self.tiles or planner.tile_count(dims, width)) if exchange == "tiles" else exchange != "join"
+
+    def _solve_mode(self, placed: DataFrame, mode: int, slices: list[DataFrame], old: list[DataFrame] | None, width: int, storage: str, small: bool | int) -> DataFrame:
         """(idx, a): the rows of a mode. `old` holds the slices before the group where the residual is fused."""
         n_modes = len(slices)
         names = [f"a{n}" for n in range(1, n_modes + 1)]
@@ -72,7 +83,7 @@ class SubsetALS(Solver):
         if old is not None:
             joined = kernels.attach(joined, old, "o", small)
             target = kernels.add_back_group(width, n_modes, "r", "o")
-        by = ["machine", f"i{mode}"] if storage == "mode_copies" else [f"i{mode}"]
+        by = [f"i{mode}"] if storage == "single" else ["machine", f"i{mode}"]
         sums = kernels.normal_equations if planner.choose_kernel(width, self.kernel) == "sql" else kernels.normal_equations_arrow
         return kernels.solve_rows(sums(joined, mode, width, names, target, by), width, self.reg_param, self.reg, f"i{mode}", self.solver)
 
@@ -83,8 +94,8 @@ class SubsetALS(Solver):
         spark = tensor.cells.sparkSession
         storage = planner.choose_storage(tensor.cells.count(), dims, self.machines, storage=self.storage) if self.storage == "auto" else self.storage
         exchange = planner.choose_exchange(dims, self.group_width, self.exchange)
-        small = exchange != "join"
-        assigned = assign(tensor, self.machines, self.assignment, self.seed).persist() if storage == "mode_copies" else None
+        small = self._spread(exchange, dims, self.group_width)
+        assigned = assign(tensor, self.machines, self.assignment, self.seed).persist() if storage != "single" else None
         columns: dict[tuple[int, int], DataFrame] = {}  # (mode, column) -> slice of one column, once updated
 
         def slice_of(mode: int, group: list[int]) -> DataFrame:
@@ -118,7 +129,8 @@ class SubsetALS(Solver):
                     work, before = self._rewrite(placed, old, storage, small, lambda w=width: kernels.add_back_group(w, n_modes), "rhat", [*tensor.modes, "x"], n_modes), None
                 for _ in range(self.inner_iters):
                     for mode in range(1, n_modes + 1):
-                        solved = self._solve_mode(work[mode - 1], mode, current, before, width, storage, small)
+                        cells = self._dealt(work[mode - 1], assigned, mode, dims[mode - 1], storage)
+                        solved = self._solve_mode(cells, mode, current, before, width, storage, small)
                         current[mode - 1] = publish(all_rows(solved, dims[mode - 1], width), dims[mode - 1], exchange)
                 done += 1
                 if self.fused:
@@ -216,9 +228,9 @@ class FullALS(SubsetALS):
         n_modes, dims = tensor.n_modes, tensor.dims
         spark = tensor.cells.sparkSession
         exchange = planner.choose_exchange(dims, self.rank, self.exchange)
-        small = exchange != "join"
+        small = self._spread(exchange, dims, self.rank)
         storage = planner.choose_storage(tensor.cells.count(), dims, self.machines, storage=self.storage) if self.storage == "auto" else self.storage
-        assigned = assign(tensor, self.machines, self.assignment, self.seed).persist() if storage == "mode_copies" else None
+        assigned = assign(tensor, self.machines, self.assignment, self.seed).persist() if storage != "single" else None
         every = list(range(self.rank))
         current = [start_slice(spark, d, n, every, self.seed, self.init) for n, d in enumerate(dims, 1)]
         placed = self._place(tensor.cells.select(*tensor.modes, "x", F.col("x").alias("rhat")), tensor, assigned, storage)
@@ -226,7 +238,8 @@ class FullALS(SubsetALS):
         for iteration in range(1, self.outer_iters + 1):
             for _ in range(self.inner_iters):
                 for mode in range(1, n_modes + 1):
-                    solved = self._solve_mode(placed[mode - 1], mode, current, None, self.rank, storage, small)
+                    cells = self._dealt(placed[mode - 1], assigned, mode, dims[mode - 1], storage)
+                    solved = self._solve_mode(cells, mode, current, None, self.rank, storage, small)
                     current[mode - 1] = publish(all_rows(solved, dims[mode - 1], self.rank), dims[mode - 1], exchange)
             if trace or self.tol or iteration == self.outer_iters:
                 parts = None

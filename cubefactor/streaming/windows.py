@@ -37,11 +37,11 @@ def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 def scored(events: DataFrame, factors: list[DataFrame], rank: int) -> DataFrame:
-    """A stream of cells (i1..iN, x) joined with static factor slices; the model's size is checked by its caller."""
-    from ..functions.kernels import attach, predict_expr
+    """A stream of cells (i1..iN, x) joined with static factor slices; slices beyond the broadcast limit are joined by a shuffle."""
+    from ..functions.kernels import attach_checked, predict_expr
 
     names = [f"_f{n}" for n in range(1, len(factors) + 1)]
-    return attach(events, factors, "_f").withColumn("prediction", predict_expr(names, rank)).drop(*names)
+    return attach_checked(events, factors, "_f", rank, [f.count() for f in factors]).withColumn("prediction", predict_expr(names, rank)).drop(*names)
 
 
 def read_events(spark, path: str) -> DataFrame:

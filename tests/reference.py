@@ -4,15 +4,14 @@ from __future__ import annotations
 
 import numpy as np
 
-P, A, B, C, D = 1009, 571, 373, 197, 89
+P, A, B, C, D = 2_147_483_647, 48_271, 1_583_458_089, 784_588_716, 1_226_874_159
 
 
 def start(dims, rank, seed=42, zero_first=True):
     out = []
     for n, d in enumerate(dims, 1):
-        i = np.arange(d)[:, None]
-        k = np.arange(rank)[None, :]
-        out.append(((i * A + n * B + k * C + seed * D + (i * i % P) * (k + 3)) % P) / P)
+        y = np.array([[(i * A + n * B + k * C + seed * D) % P for k in range(rank)] for i in range(d)], dtype=object)
+        out.append((y * (y * y + C) % P / P).astype(float))
     if zero_first:
         out[0] = np.zeros_like(out[0])
     return out
