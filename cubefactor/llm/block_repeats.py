@@ -14,8 +14,8 @@ merge into maximal exact repeats.
 
 Defined cases: words are separated by space and the control characters tab to carriage return and are
 compared unchanged; a null text has no words; documents shorter than a window lose nothing; texts of any
-length are treated whole; repeats within one document stay; rows that share a doc_id must share their text
-and count as one document, each row getting its result; a row without doc_id neither gives nor loses words;
+length are treated whole; repeats within one document stay; repeated rows count as one document, each
+row getting its result; rows that share a doc_id must share their text; a row without doc_id neither gives nor loses words;
 an empty table gives no rows; extra columns are ignored.
 """
 

@@ -45,10 +45,12 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a local one where none is set."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or a local one where a session on one machine sets none."""
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if configured:
         return configured
+    if not spark.sparkContext.master.startswith("local["):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     fallback = os.path.join(tempfile.gettempdir(), "cubefactor-checkpoints")
     os.makedirs(fallback, exist_ok=True)
     return f"file://{fallback}"
@@ -60,6 +62,7 @@ def written(frame: DataFrame, name: str, codec: str = "snappy") -> DataFrame:
     `zstd` suits large texts; its native buffers outlive many small files in the executors' memory.
     """
     spark = frame.sparkSession
+    ship_package(spark)
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     frame.write.option("compression", codec).parquet(path)
     return spark.read.schema(frame.schema).parquet(path)

@@ -14,7 +14,7 @@ has a fixed bound whatever the benchmark's size; all documents are read for ever
 
 Defined cases: null or empty texts and items match nothing; an item of fewer words than a window is one
 window; items without a usable window, of numbers, names and units mostly, are matched by windows of their
-own words, so only where they are copied; repeated items and
+own words, so only where they are copied; texts of any length are read whole; repeated items and
 documents are reported for each row; a null doc_id is reported as null, a null item_id too; empty tables
 give no rows; extra columns are ignored or, in `drop_contaminated`, kept.
 """
@@ -32,7 +32,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, span_hashes, text_or_empty
+from .common import chunks, mix64, ship_package, span_hashes, text_or_empty
 
 WINDOW, CONTAINMENT, CONSISTENCY, LEAST_ORDINARY = 5, 0.5, 0.8, 3
 #: Units of measure and number words that become placeholders (fixed values).
@@ -290,6 +290,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *, block_windows: int =
 
         return run
 
+    ship_package(docs.sparkSession)
     own = docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text"))
     found = [own.mapInArrow(search(block), schema) for block in make_blocks(_items(benchmark), block_windows=block_windows)]
     if not found:
@@ -313,6 +314,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, *, block_windows: i
 
         return run
 
+    ship_package(docs.sparkSession)
     for block in make_blocks(_items(benchmark), block_windows=block_windows):
         docs = docs.mapInArrow(clean(block), docs.schema)
     return docs

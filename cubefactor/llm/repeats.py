@@ -154,12 +154,17 @@ def read_spans(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 def settle(anchors: Anchors, *, within: bool) -> tuple[Anchors, tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """The first anchors of each kind of surroundings, and the stretches around later ones, which are repeats.
 
-    Later means a larger (document, place) if `within` a document counts, else a larger document.
+    Later means a larger (document, place) if `within` a document counts, else a larger document. An anchor that
+    is given twice, as by repeated rows, counts once: it is not later than itself.
     """
     order = np.lexsort((anchors.pos, anchors.doc, anchors.c, anchors.h))
     a = anchors.take(order)
     fresh = np.ones(len(a.h), bool)
     fresh[1:] = (a.h[1:] != a.h[:-1]) | (a.c[1:] != a.c[:-1])
+    again = np.zeros(len(a.h), bool)
+    again[1:] = ~fresh[1:] & (a.doc[1:] == a.doc[:-1]) & (a.pos[1:] == a.pos[:-1])
+    if again.any():
+        a, fresh = a.take(np.flatnonzero(~again)), fresh[~again]
     if within:
         later = ~fresh
     else:

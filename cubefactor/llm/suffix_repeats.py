@@ -10,8 +10,8 @@ common-prefix intervals and reports each interval whose occurrences have differe
 maximal repeat with all its occurrences, not only neighbours. All but the first occurrence are removed.
 
 Defined cases: a null text is empty; texts shorter than the window lose nothing; texts of any length are
-treated whole (up to 4 GB each); matches never cross documents; rows that share a doc_id must share their
-text and count as one document, each row getting its result; a row without doc_id neither gives nor loses
+treated whole (up to 4 GB each); matches never cross documents; repeated rows count as one document, each row
+getting its result, and a place is never later than itself; rows that share a doc_id must share their text; a row without doc_id neither gives nor loses
 text; an empty table gives no rows; extra columns are ignored or, in `remove_repeats`, kept.
 """
 

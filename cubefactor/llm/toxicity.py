@@ -4,13 +4,16 @@ The kernel compares two words by the letter triples that both contain in order,
 each triple weighs `decay` to the power of the span it covers, so inserted characters ("id-i.ot") cost a
 little and never hide a match. The machine is linear in the kernel values of its landmarks, so all of
 them fold into one weight per triple: scoring a word sums the weights of its triples, whatever the number
-of landmarks. A sentence scores as its strongest word, a document as its strongest sentence.
+of landmarks. A sentence scores as its strongest word, a document as its strongest sentence, so as its
+strongest word: where sentences end changes no score.
 
-It learns from sentences of labelled documents (`max_train_rows` of them): every sentence of a clean
-document is clean, and each toxic document has one sentence at least that is toxic, found in turns with
-the machine (multiple-instance learning).
+It learns from labelled documents (`max_train_rows` of them), read sentence by sentence. Labels are given for
+documents, not for sentences or words, so the machine's instances are words: those of clean documents are
+clean; which words of toxic documents are insults is guessed from how much more often toxic documents hold
+them, then found in turns with the machine (multiple-instance learning).
 
-Defined cases: null and empty texts get the score of a text without words; words longer than `WINDOW`
+Defined cases: repeated rows are scored alike and learned from once for each row; ties in frequency go by the
+word itself; null and empty texts get the score of a text without words; words longer than `WINDOW`
 characters are read in overlapping windows, so no text is cut; an empty table gives no rows; labels of one
 class give that class's smoothed share to all; a null doc_id is kept and not held out; extra columns are
 ignored.
@@ -31,7 +34,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, crc_fold, text_or_empty
+from .common import chunks, crc_fold, ship_package, text_or_empty
 from .quality import labelled_sample
 
 #: Characters of a word that one window holds, and the step between windows of longer words.
@@ -272,6 +275,7 @@ def fit_machine(texts: list[str], labels: list[int], *, landmarks: int = 384, de
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, *, target: str = "toxic", fold: int = 3, held: int = 1, max_train_rows: int = 4000, **options) -> KernelMachine:
     """Fit in one executor task on at most `max_train_rows` labelled documents outside the held-out fold."""
+    ship_package(docs.sparkSession)
     sample = labelled_sample(docs, labels, target, crc_fold(F.col("doc_id"), fold) != held, max_train_rows).select("text", "label")
 
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -288,6 +292,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, *, target: str = "toxic", f
 
 def score_toxicity(docs: DataFrame, machine: KernelMachine) -> DataFrame:
     """doc_id and score for every row of `docs`."""
+    ship_package(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(machine)  # of fixed size: SLOTS weights
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -1,4 +1,5 @@
 import hashlib
+import random
 
 import numpy as np
 from cubefactor.llm import block_repeats, suffix_repeats
@@ -119,3 +120,13 @@ def test_equal_windows_share_their_anchor():
     one, two = owners(a), owners(b)
     assert len(one) == len(a) - 99
     assert all(one[37 + k] == two[214 + k] for k in range(51))
+
+def test_repeated_rows_keep_what_has_no_earlier_copy(docs_of):
+    rng = random.Random(8)
+    t, u = ("".join(rng.choice("abcdefgh ") for _ in range(600)) for _ in range(2))
+    rows = [(9, t), (9, t), (10, u), (11, t + u)]
+    got = [(r["doc_id"], r["n_removed"], r["n_spans"]) for r in suffix_repeats.byte_repeats(docs_of(rows)).orderBy("doc_id").collect()]
+    assert got == [(9, 0, 0), (9, 0, 0), (10, 0, 0), (11, 1200, 1)]
+    words = " ".join(f"w{k}" for k in range(120))
+    other = [(r["doc_id"], r["n_removed"]) for r in block_repeats.word_repeats(docs_of([(9, words), (9, words), (10, words)])).orderBy("doc_id").collect()]
+    assert other == [(9, 0), (9, 0), (10, 120)]
