@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import costs, experiments, operators, solvers, steps, tensors
+from . import costs, experiments, operators, solvers, steps, surface, tensors
 
-MODULES = (tensors, steps, solvers, experiments, costs, operators)
+MODULES = (tensors, steps, solvers, experiments, costs, operators, surface)
 
 
 def queries() -> dict:

@@ -26,8 +26,9 @@ def long_factors(model: FactorModel, digits: int = 6) -> DataFrame:
 
 
 def traced(history: list[dict], spark, **extra) -> DataFrame:
-    rows = [(h["method"], h["iter"], float(h["seconds"]), float(h["train_rmse"]), None if h["rmse"] is None else float(h["rmse"]), h["status"]) for h in history]
-    frame = spark.createDataFrame(rows, "method string, iter int, seconds double, train_rmse double, rmse double, status string")
+    some = lambda value: None if value is None else float(value)
+    rows = [(h["method"], h["iter"], float(h["seconds"]), some(h["loss"]), float(h["train_rmse"]), some(h["rmse"]), h["cold"], h["exchanges"], h["status"]) for h in history]
+    frame = spark.createDataFrame(rows, "method string, iter int, seconds double, loss double, train_rmse double, rmse double, cold long, exchanges long, status string")
     for name, value in extra.items():
         frame = frame.withColumn(name, F.lit(value))
     return frame

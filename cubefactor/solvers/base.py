@@ -37,10 +37,29 @@ class Solver:
             raise ValueError("reg is weighted or plain, init is zero_first or random")
 
     def trace_entry(self, iteration: int, began: float, model: FactorModel, tensor: TensorFrame, test: DataFrame | None) -> dict:
-        """Method, iteration, seconds so far, training error and held-out RMSE; the clock stops while it measures."""
+        """Method, iteration, seconds so far, loss, training and held-out RMSE, held-out cells with a row unseen in
+        training, exchanges of updated rows so far, and status."""
         seconds = time.time() - began
         train = metrics.rmse(model, tensor.cells)
-        return {"method": self.method, "iter": iteration, "seconds": seconds, "train_rmse": train, "rmse": metrics.rmse(model, test) if test is not None else None, "status": "ok" if math.isfinite(train or 0.0) else "diverged"}
+        return {
+            "method": self.method,
+            "iter": iteration,
+            "seconds": seconds,
+            "loss": metrics.loss(model, tensor, self.reg_param, self.reg).first()["loss"],
+            "train_rmse": train,
+            "rmse": metrics.rmse(model, test) if test is not None else None,
+            "cold": (model.trace[0]["cold"] if model.trace else metrics.cold_cells(tensor, test)) if test is not None else None,
+            "exchanges": iteration * self.exchanges(tensor.n_modes),
+            "status": "ok" if math.isfinite(train or 0.0) else "diverged",
+        }
+
+    def exchanges(self, n_modes: int) -> int:
+        """Exchanges of updated rows in one outer iteration: after each update of a mode's rows for a group of columns,
+        after each stratum, or once where replicas are averaged."""
+        width = getattr(self, "group_width", 0)
+        if width:
+            return -(-self.rank // width) * self.inner_iters * n_modes
+        return self.machines ** (n_modes - 1) if self.method == "stratified_sgd" else 1
 
     def column_groups(self, width: int, order: str, iteration: int) -> list[list[int]]:
         """Columns cut into groups of `width`, the last one narrower; drawn without replacement if `random`."""

@@ -1,10 +1,13 @@
+import time
 from itertools import product
 
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from cubefactor import synth
+from cubefactor.functions.init import start_slice
 from cubefactor.operators import layout
 from cubefactor.operators.lineage import written
 from cubefactor.operators.tensor import TensorFrame, mode_counts
@@ -32,6 +35,28 @@ def test_classes_equal_row_by_row_placement(counts, machines):
     assert got == one_by_one(counts, machines, capacity, two) and one == two
 
 
+def test_a_million_equal_rows_are_placed_at_once():
+    began = time.time()
+    overall = [0] * 40
+    got = layout.greedy_classes([(3, 600_000), (1, 400_000)], 40, 25_000, overall)
+    assert time.time() - began < 1 and sum(n for _, _, n in got) == 1_000_000
+    assert max(overall) - min(overall) <= 3
+
+
+def test_ranges_leave_no_machine_idle(spark):
+    counts = spark.range(101).selectExpr("1 AS mode", "id AS idx", "1L AS nnz")
+    rows = {r["machine"]: r["count"] for r in layout.assign_sequential(counts, [101], 40).groupBy("machine").count().collect()}
+    assert set(rows) == set(range(40)) and set(rows.values()) == {2, 3}
+
+
+def test_start_rows_do_not_repeat(spark):
+    rows = start_slice(spark, 100_000, 2, [0, 1, 2, 3], 42, "random")
+    assert rows.distinct().count() >= 100_000 and rows.select(F.col("a")[0].alias("v")).distinct().count() > 99_000
+    counts = spark.range(4000).selectExpr("explode(array(1, 2)) AS mode", "id AS idx", "1L AS nnz")
+    by_mode = layout.assign_random(counts, [4000, 4000], 8).groupBy("idx").agg(F.countDistinct("machine").alias("n"))
+    assert 3200 < by_mode.where("n = 2").count() < 3800
+
+
 @pytest.fixture(scope="module")
 def skewed(spark):
     rows = [(i, j, 1.0) for i in range(20) for j in range(0, 40, i + 1)]

@@ -3,6 +3,8 @@ from pyspark.sql import functions as F
 from cubefactor import registry
 from cubefactor.functions.kernels import attach, normal_equations, normal_equations_arrow
 from cubefactor.functions.init import start_slice
+from cubefactor.operators import layout
+from cubefactor.plans import planner
 from cubefactor.sources.catalog import tensor
 from cubefactor.sources.tables import load
 
@@ -41,6 +43,21 @@ def test_group_joins_shuffle_only_when_slices_are_large(spark, sf_dir):
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
+def test_tiles_keep_the_cells_in_place(spark, sf_dir):
+    """Slices above the limit of one broadcast are joined in tiles: no Exchange but the broadcasts', same sums."""
+    t = tensor(spark, sf_dir, "events3")
+    assigned = layout.assign(t, 4, "greedy").persist()
+    copy = layout.distribute(t.cells, assigned, 1, 4, t.dims[0])
+    slices = [start_slice(spark, d, n, [0, 1], 42, "random") for n, d in enumerate(t.dims, 1)]
+    sums = [normal_equations(attach(copy, slices, "a", how, [2, 3]), 1, 2, ["a1", "a2", "a3"], F.col("x"), ["machine", "i1"]) for how in (True, 3)]
+    text = plan(sums[1]).split("InMemoryTableScan")[0].replace("BroadcastExchange", "")
+    assert "Exchange" not in text
+    one, two = ({r["i1"]: [round(v, 9) for v in r[2:]] for r in f.collect()} for f in sums)
+    assert one == two
+    copy.unpersist()
+    assert planner.choose_exchange([10**7] * 5, 10) == "tiles" and planner.tile_count([10**7] * 5, 10) == 4
+
+
 def test_star_joins_broadcast_their_dimensions(spark, sf_dir):
     assert plan(registry.queries()["join_broadcast_star"](spark, sf_dir)).count("BroadcastHashJoin") >= 2
     assert "SortMergeJoin" in plan(registry.queries()["join_sortmerge"](spark, sf_dir))
