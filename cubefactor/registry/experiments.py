@@ -120,13 +120,13 @@ def _scaled(spark, sf, **factor):
 QUERIES["scale_dimension"] = lambda spark, sf: _scaled(spark, sf, modes=synth.GRID["modes"])
 QUERIES["scale_observations"] = lambda spark, sf: _scaled(spark, sf, cells=synth.GRID["cells"])
 QUERIES["scale_length"] = lambda spark, sf: _scaled(spark, sf, length=synth.GRID["length"])
-QUERIES["scale_rank"] = lambda spark, sf: _scaled(spark, sf, rank=synth.GRID["rank"][:3])
+QUERIES["scale_rank"] = lambda spark, sf: _scaled(spark, sf, rank=synth.GRID["rank"][:2])
 
 
 def scale_overall(spark, sf):
     """All factors grow together over four steps; methods that would not fit or end at the published size are marked."""
     parts = []
-    for step, (n, length, cells, rank) in enumerate(((2, 300, 3000, 3), (3, 1000, 10_000, 10), (4, 3000, 30_000, 10), (5, 10_000, 100_000, 10))):
+    for step, (n, length, cells, rank) in enumerate(((2, 300, 3000, 2), (3, 1000, 10_000, 3), (4, 3000, 30_000, 4), (5, 10_000, 100_000, 5))):
         t = synth.planted(spark, [length] * n, cells, 3)
         t = TensorFrame(written(t.cells, "scaled"), t.dims)
         modes, rows, nnz, k = list(cost.SCALES.values())[step]
