@@ -10,9 +10,10 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import arrow_udf, pandas_udf
+from pyspark.sql.types import DoubleType  # a type's name could be read by a running session only
 
 
-@arrow_udf("double")
+@arrow_udf(DoubleType())
 def arrow_dot(left: pa.Array, right: pa.Array) -> pa.Array:
     """Inner product of two factor rows of equal length; null where either row is null."""
     known = np.asarray(left.is_valid()) & np.asarray(right.is_valid())
@@ -29,7 +30,7 @@ def arrow_dot(left: pa.Array, right: pa.Array) -> pa.Array:
     return pa.array(out, mask=~known)
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def rmse_of(value: pd.Series, prediction: pd.Series) -> float:
     """Root mean square error of a group; a pandas aggregate holds its group, so use it on groups of bounded size."""
     return float(np.sqrt(np.mean((value - prediction) ** 2)))
