@@ -64,3 +64,18 @@ def test_stream_is_scored_with_static_factors(spark, tmp_path):
     stream = spark.readStream.schema(t.cells.schema).parquet(f"{tmp_path}/s")
     got = run(windows.scored(stream, model.slices(), 1), "scored")
     assert sorted(round(r["prediction"], 9) for r in got.collect()) == sorted(round(r["prediction"], 9) for r in model.predict(t.cells).collect())
+
+
+def test_fold_in_goes_on_after_a_restart(spark, tmp_path):
+    t = synth.planted(spark, [8, 5, 4], 80, 2, 0.01)
+    t = TensorFrame(written(t.cells, "restart"), t.dims)
+    model = FullALS(2, outer_iters=1, reg_param=0.01, storage="single").fit(t)
+    first, second = t.cells.where("i2 < 2"), t.cells.where("i2 >= 2")
+    state = f"{tmp_path}/state"
+    FoldIn(model.slices(), 1, 2, 0.01, state=state)(first, 0)
+    again = FoldIn(model.slices(), 1, 2, 0.01, state=state)
+    again(first, 0)  # delivered once more after the restart
+    again(second, 1)
+    got = {r["idx"]: r["a"] for r in again.rows().collect()}
+    expected = {r["idx"]: r["a"] for r in model.fold_in(t.cells, 1, 0.01).collect()}
+    assert again.last == 1 and got.keys() == expected.keys() and all(np.allclose(got[i], expected[i]) for i in got)
