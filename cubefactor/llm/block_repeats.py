@@ -15,8 +15,8 @@ merge into maximal exact repeats.
 Defined cases: words are separated by space and the control characters tab to carriage return and are
 compared unchanged; a null text has no words; documents shorter than a window lose nothing; texts of any
 length are treated whole; repeats within one document stay; repeated rows count as one document, each
-row getting its result; rows that share a doc_id must share their text; a row without doc_id neither gives nor loses words;
-an empty table gives no rows; extra columns are ignored.
+row getting its result; rows that share a doc_id but not their text are documents of their own, in the order of their
+texts' SHA-256; a row without doc_id neither gives nor loses words; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import chunks, mix64, release_memory, row_bounds, span_hashes, text_buffer, text_or_empty, word_spans, written
-from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, read_spans, read_wanted, runs, shared_marks, span_marks, with_marks, pack_columns, unpack_columns
+from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, given_ids, one_text_each, read_spans, read_wanted, runs, shared_marks, span_marks, with_marks, pack_columns, unpack_columns
 
 WINDOW, BLOCK = 50, 7
 
@@ -129,7 +129,7 @@ def _first_documents(window: int):
 
 def word_repeats(docs: DataFrame, *, window: int = WINDOW, block: int = BLOCK) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 and the removed stretches of words of every row."""
-    own = docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text"))
+    own, numbers = one_text_each(docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")))
     named = own.where("doc_id IS NOT NULL")
     marks = shared_marks(named, lambda part: word_anchors(part, window, block), within=False, name="word-marks")
     buckets = buckets_of(docs)
@@ -152,4 +152,5 @@ def word_repeats(docs: DataFrame, *, window: int = WINDOW, block: int = BLOCK) -
             kinds = (pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())])))
             yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True))], ["doc_id", "n_words", "n_removed", "kept_sha256", "spans"])
 
-    return with_marks(own, every, [COVER], "left").mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, spans array<struct<start: long, stop: long>>")
+    done = with_marks(own, every, [COVER], "left").mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, spans array<struct<start: long, stop: long>>")
+    return given_ids(done, numbers)

@@ -19,7 +19,8 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, mix64, release_memory, unused, written
+from ..operators.tensor import dictionary
+from .common import chunks, mix64, release_memory, text_or_empty, unused, written
 
 #: Kinds of marks on a document: stretches found to be repeats, and anchors whose surroundings are wanted.
 COVER, WANTED = 1, 2
@@ -175,6 +176,35 @@ def settle(anchors: Anchors, *, within: bool) -> tuple[Anchors, tuple[np.ndarray
     return a.take(np.flatnonzero(~later)), (gone.doc, gone.pos - gone.left, gone.pos + gone.right)
 
 
+def one_text_each(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """`docs` with one text for each doc_id, and (given doc_id, SHA-256, number) of each text where that took new numbers.
+
+    Rows that share a doc_id but not their text are documents of their own, in the order of their texts' SHA-256.
+    Only where there are such rows are the documents numbered anew, in the order of (doc_id, SHA-256).
+    """
+    text = text_or_empty()
+    named = docs.where("doc_id IS NOT NULL")
+    code = F.xxhash64(text)
+    clashes = named.groupBy("doc_id").agg(F.min(code).alias("low"), F.max(code).alias("high")).where("low <> high")
+    if clashes.count() == 0:
+        return docs, None
+    sha = F.sha2(text.cast("binary"), 256)
+    entries = dictionary(named.select(F.struct(F.col("doc_id").alias("given"), sha.alias("sha")).alias("k1")), 1)
+    given, digest, number = (unused(docs, name) for name in ("_given", "_sha", "_number"))
+    numbers = entries.select(F.col("key.given").alias(given), F.col("key.sha").alias(digest), F.col("idx").alias(number))
+    own = docs.join(numbers, (F.col("doc_id") == F.col(given)) & (sha == F.col(digest)), "left")
+    return own.select(*(F.col(number).alias(c) if c == "doc_id" else F.col(f"`{c}`") for c in docs.columns)), numbers
+
+
+def given_ids(found: DataFrame, numbers: DataFrame | None) -> DataFrame:
+    """`found` with the doc_ids that were given, where `one_text_each` took others."""
+    if numbers is None:
+        return found
+    given, digest, number = numbers.columns
+    back = found.join(numbers.drop(digest), F.col("doc_id") == F.col(number), "left")
+    return back.select(*(F.col(given).alias(c) if c == "doc_id" else F.col(f"`{c}`") for c in found.columns))
+
+
 def buckets_of(docs: DataFrame) -> int:
     return max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 8) * 2
 

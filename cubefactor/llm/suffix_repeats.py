@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import chunks, mix64, release_memory, text_buffer, text_or_empty, written
-from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, pack_columns, read_spans, read_wanted, runs, shared_marks, span_marks, unpack_columns, with_marks
+from .repeats import COVER, MARK, WANTED, Anchors, Stretches, buckets_of, given_ids, one_text_each, pack_columns, read_spans, read_wanted, runs, shared_marks, span_marks, unpack_columns, with_marks
 
 WINDOW, GRAM = 100, 16
 _CODES = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F))
@@ -252,8 +252,8 @@ def cut_text(text: bytes, blobs: list[bytes]) -> tuple[bytes, np.ndarray, np.nda
 
 def byte_repeats(docs: DataFrame, *, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed stretches of every row."""
-    marks = repeat_marks(docs, window=window, gram=gram)
-    own = docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text"))
+    own, numbers = one_text_each(docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")))
+    marks = repeat_marks(own, window=window, gram=gram)
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in chunks(batches):
@@ -266,11 +266,13 @@ def byte_repeats(docs: DataFrame, *, window: int = WINDOW, gram: int = GRAM) ->
             kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())])))
             yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans"])
 
-    return with_marks(own, marks, [COVER], "left").mapInArrow(finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start: long, stop: long>>")
+    done = with_marks(own, marks, [COVER], "left").mapInArrow(finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start: long, stop: long>>")
+    return given_ids(done, numbers)
 
 
 def remove_repeats(docs: DataFrame, *, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """`docs` without repeated bytes in `text`; a character that a removed stretch cuts is dropped with it."""
+    docs, numbers = one_text_each(docs)
     marked = with_marks(docs, repeat_marks(docs, window=window, gram=gram), [COVER], "left")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -282,4 +284,4 @@ def remove_repeats(docs: DataFrame, *, window: int = WINDOW, gram: int = GRAM) -
             columns = [pa.array(kept, part.schema.field(at).type) if k == at else part.column(k) for k in range(part.num_columns - 1)]
             yield pa.RecordBatch.from_arrays(columns, part.schema.names[:-1])
 
-    return marked.mapInArrow(cut, docs.schema)
+    return given_ids(marked.mapInArrow(cut, docs.schema), numbers)

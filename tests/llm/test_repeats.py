@@ -121,6 +121,7 @@ def test_equal_windows_share_their_anchor():
     assert len(one) == len(a) - 99
     assert all(one[37 + k] == two[214 + k] for k in range(51))
 
+
 def test_repeated_rows_keep_what_has_no_earlier_copy(docs_of):
     rng = random.Random(8)
     t, u = ("".join(rng.choice("abcdefgh ") for _ in range(600)) for _ in range(2))
@@ -130,3 +131,21 @@ def test_repeated_rows_keep_what_has_no_earlier_copy(docs_of):
     words = " ".join(f"w{k}" for k in range(120))
     other = [(r["doc_id"], r["n_removed"]) for r in block_repeats.word_repeats(docs_of([(9, words), (9, words), (10, words)])).orderBy("doc_id").collect()]
     assert other == [(9, 0), (9, 0), (10, 120)]
+
+
+def test_texts_that_share_a_doc_id_are_documents_of_their_own(docs_of):
+    rng = random.Random(9)
+    t, u, v = (" ".join(f"{rng.choice('abcdefgh')}{rng.randrange(99)}" for _ in range(150)) for _ in range(3))
+    rows = [(7, t), (7, u + " " + t), (7, u), (7, u), (3, v), (12, v + " " + u), (None, t), (8, None), (8, "")]
+    sha = lambda text: hashlib.sha256((text or "").encode()).hexdigest()
+    order = sorted({(i, sha(text)) for i, text in rows if i is not None})
+    numbered = [(None if i is None else order.index((i, sha(text))), text) for i, text in rows]
+    for run, brute, size in ((suffix_repeats.byte_repeats, brute_bytes, 100), (block_repeats.word_repeats, brute_words, 50)):
+        expected = brute(numbered, size)
+        got = sorted((r["doc_id"], r["n_removed"], r["kept_sha256"]) for r in run(docs_of(rows)).where("doc_id IS NOT NULL").collect())
+        assert got == sorted((i, expected[n][1], expected[n][-1]) for (i, _), (n, _) in zip(rows, numbered, strict=True) if i is not None)
+        assert run(docs_of(rows)).where("doc_id IS NULL AND n_removed = 0").count() == 1
+    kept = suffix_repeats.remove_repeats(docs_of(rows))
+    assert kept.columns == docs_of([]).columns and sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 3, 7, 7, 7, 7, 8, 8, 12]
+    bytes_kept = {n: e[-1] for n, e in brute_bytes(numbered, 100).items()}
+    assert sorted(sha(r["text"]) for r in kept.where("doc_id IS NOT NULL").collect()) == sorted(bytes_kept[n] for n, _ in numbered if n is not None)
