@@ -1,7 +1,7 @@
 from pyspark.sql import functions as F
 
 from cubefactor import registry
-from cubefactor.functions.kernels import attach, normal_equations, normal_equations_arrow
+from cubefactor.functions.kernels import attach, normal_equations, normal_equations_arrow, packed
 from cubefactor.functions.init import start_slice
 from cubefactor.operators import layout
 from cubefactor.plans import planner
@@ -63,3 +63,21 @@ def test_star_joins_broadcast_their_dimensions(spark, sf_dir):
     assert plan(registry.queries()["join_broadcast_star"](spark, sf_dir)).count("BroadcastHashJoin") >= 2
     assert "SortMergeJoin" in plan(registry.queries()["join_sortmerge"](spark, sf_dir))
     assert load(spark, sf_dir, "nation").count() == 25
+
+
+def test_broadcast_slices_are_packed_and_rows_stay_with_their_indices(spark):
+    """A broadcast has an entry per block of rows, and gaps, indices below zero and beyond the end have no row."""
+    known = [i for i in range(1000) if i % 7 and not 300 <= i < 600 or i == 517]
+    part = spark.createDataFrame([(i, [float(i), i / 2]) for i in known], "idx long, a array<double>")
+    assert packed(part).count() == 4
+    wanted = [-257, -1, *range(1030), 5000]
+    cells = spark.createDataFrame([(i,) for i in wanted], "i1 long")
+    for how in (True, "packed", 3):
+        got = {r["i1"]: r["a1"] for r in attach(cells, [part], "a", how).collect()}
+        assert sorted(got) == sorted(wanted)
+        for i in wanted:
+            assert not got[i] or all(v is None for v in got[i]) if i not in known else got[i] == [float(i), i / 2]
+
+
+def test_long_slices_do_not_go_through_the_driver(spark):
+    assert planner.choose_exchange([900_000, 1_200_000, 80], 1) == "dfs"
