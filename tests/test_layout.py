@@ -115,3 +115,11 @@ def test_planner_decides_by_size():
     assert [planner.choose_exchange([d], 10) for d in (10**4, 10**6, 10**8)] == ["broadcast", "dfs", "join"]
     assert planner.choose_storage(10**6, [24, 10**5], 40) == "single" and planner.choose_storage(10**6, [10**4] * 3, 40) == "mode_copies"
     assert planner.choose_storage(10**9, [10**4] * 3, 40, disk_bytes=10**9) == "single"
+
+
+def test_the_schedule_holds_every_cell_of_the_table_once(spark, sf_dir):
+    from cubefactor import registry
+    from cubefactor.sources.catalog import tensor
+
+    rows = registry.queries()["strata_schedule"](spark, sf_dir).groupBy("machines").agg(F.count("*").alias("blocks"), F.sum("cells").alias("cells")).collect()
+    assert {r["machines"]: (r["blocks"], r["cells"]) for r in rows} == {m: (m**3, tensor(spark, sf_dir, "events3").cells.count()) for m in (2, 3)}
