@@ -1,10 +1,14 @@
+import pytest
 from pyspark.sql import functions as F
 
 from cubefactor import registry
 from cubefactor.functions.kernels import attach, normal_equations, normal_equations_arrow, packed
 from cubefactor.functions.init import start_slice
 from cubefactor.operators import layout
+from cubefactor.operators.exchange import publish
+from cubefactor.operators.tensor import TensorFrame
 from cubefactor.plans import planner
+from cubefactor.solvers.subset_als import SubsetALS
 from cubefactor.sources.catalog import tensor
 from cubefactor.sources.tables import load
 
@@ -81,3 +85,24 @@ def test_broadcast_slices_are_packed_and_rows_stay_with_their_indices(spark):
 
 def test_long_slices_do_not_go_through_the_driver(spark):
     assert planner.choose_exchange([900_000, 1_200_000, 80], 1) == "dfs"
+
+
+def test_slices_of_many_rows_are_not_held_by_the_driver_row_by_row(spark, monkeypatch):
+    assert SubsetALS(3, group_width=2)._spread("broadcast", [112_000, 5], 2) == ["packed", True]
+    rows = [((a * 7) % 40, a % 3, (a * 5) % 4, float(a % 5)) for a in range(200)]
+    cells = spark.createDataFrame(rows, "i1 long, i2 long, i3 long, x double").dropDuplicates(["i1", "i2", "i3"])
+    fit = lambda: SubsetALS(3, group_width=2, outer_iters=1, storage="single", machines=2).fit(TensorFrame(cells, [40, 3, 4]))
+    values = lambda model: [(r["mode"], r["idx"], *r["f"]) for r in model.factors.orderBy("mode", "idx").collect()]
+    plain, plans, rewrite = values(fit()), [], SubsetALS._rewrite
+    monkeypatch.setattr(planner, "PLAIN_ROWS", 20)
+    long_slice = spark.range(40).select(F.col("id").alias("idx"), F.array(F.lit(0.5)).alias("a"))
+    assert "LocalRelation" not in publish(long_slice, 40, "broadcast")._jdf.queryExecution().optimizedPlan().toString()
+
+    def seen(self, placed, *args, **options):
+        plans.append(placed[0]._jdf.queryExecution().optimizedPlan().toString().count("InMemoryRelation"))
+        return rewrite(self, placed, *args, **options)
+
+    monkeypatch.setattr(SubsetALS, "_rewrite", seen)
+    for one, two in zip(plain, values(fit()), strict=True):
+        assert one == pytest.approx(two, abs=1e-9)
+    assert len(plans) == 4 and plans[2] == 0  # the second group starts from a table
