@@ -1,6 +1,7 @@
 import numpy as np
 import xxhash
-from cubefactor.llm import components, line_dedup, simhash
+import pytest
+from cubefactor.llm import components, document_dedup, line_dedup, simhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -201,3 +202,31 @@ def test_repeated_rows_and_shared_ids(docs_of):
     got = sorted((r["doc_id"], r["n_lines"], tuple(r["removed_lines"])) for r in line_dedup.line_decisions(docs_of(rows)).collect())
     assert got.count((9, 1, ())) >= 2 and (10, 2, (1,)) in got
     assert sum(len(r[2]) for r in got) == 2
+
+
+@pytest.mark.parametrize(("common", "one", "two"), [(80, 10, 10), (80, 0, 20), (8, 1, 1), (4, 0, 1)])
+def test_similar_documents_meet_by_their_fingerprints(common, one, two):
+    rng, n = np.random.default_rng(5), 1000
+    sets = []
+    for _ in range(n):
+        c = rng.integers(0, 2**44, common + one + two).astype(np.uint64)
+        sets += [c[: common + one], np.concatenate([c[:common], c[common + one :]])]
+    bounds = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
+    prints = document_dedup.document_prints(np.concatenate(sets), bounds)
+    hashes = document_dedup.mix64(sets[0] * document_dedup._ODD + np.uint64(3))
+    assert int(prints[0, 2]) == sum(1 << b for b in range(64) if 2 * sum(int(h) >> b & 1 for h in hashes) > len(hashes))
+    turned = np.roll(prints.view(np.uint8), -1, axis=1).view("<u8")
+    met = np.zeros((2, n), bool)
+    for form in [prints, turned] if common + max(one, two) <= document_dedup.FEW else [prints]:
+        key, chain = (c.reshape(2 * n, document_dedup.SEGMENTS, -1) for c in document_dedup.segment_entries(form))
+        for k, other in enumerate((key[1::2], np.roll(key[1::2], 1, axis=0))):
+            far = np.roll(chain[1::2], k, axis=0)
+            near = document_dedup.chains_within((chain[::2] ^ far).reshape(-1, 2)).reshape(n, -1)
+            met[k] |= ((key[::2] == other)[:, :, 0] & near).any(1)
+    assert met[0].sum() >= 0.998 * n and met[1].sum() <= 0.002 * n
+
+
+def test_all_candidates_of_the_pipeline_come_from_fingerprints(docs_of):
+    rows = [(k, " ".join(f"w{j}" for j in range(100) if j != 50 + k)) for k in range(2)]
+    assert document_dedup.keep_one(docs_of(rows)).count() == 1
+    assert not {"signature", "meeting"} & set(vars(document_dedup))
